@@ -1,22 +1,24 @@
 """Toxicity from class-conditional Kneser-Ney models.
 
-Two bigram models, of toxic and of ordinary texts, give each document a length-normalised log
-likelihood ratio; a logistic curve fitted on texts that the models have not seen turns it into a
-score. Rare expressions are smoothed in two steps: a bigram backs off to the class's continuation
-counts, and these back off to counts that both classes share, taken over all documents.
+Two models of the bytes of words, of toxic and of ordinary texts, give each document a
+length-normalised log likelihood ratio; a logistic curve fitted on texts that the models have not
+seen turns it into a score. A byte is predicted from the five before it in its word, so stems and
+endings count, not only whole words. Rare expressions are smoothed step by step: six bytes back off
+to the class's continuation counts of five and of four, and these to three-byte counts that both
+classes share, taken over all documents.
 
 The models are fitted on at most FIT_ROWS labelled rows of a class (the first by a hash of the id),
-the curve on at most CURVE_ROWS of another fold; these bounds are parameters. So the words and
-expressions of the models are bounded by that sample, and so is their broadcast. The shared counts
-are gathered from every document. Bigrams seen once are left to the backoff.
+the curve on at most CURVE_ROWS of another fold; these bounds are parameters. So the expressions of
+the models are bounded by that sample, and so is their broadcast. The shared counts are gathered
+from every document. Six-byte expressions seen once are left to the backoff.
 
 Only labels train: rows whose crc32(id) mod 5 is 0 are held out, fold 1 fits the curve, the others
 the models. Source, language and ids are no inputs of a score. A document with several labels is
 toxic if one says so; null labels say nothing.
 
 Defined results: null or empty text: the score of a ratio of 0; repeated rows score alike; null ids
-are held out of training; no rows: no rows; without labels of both classes every score is 0.5 or
-less and nothing is rejected.
+are held out of training; no rows: no rows; without labels of both classes every score is below 0.5
+and nothing is rejected.
 """
 
 from __future__ import annotations
@@ -27,31 +29,47 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
+from .common import row_ranges
 
 FIT_ROWS = 10_000
 CURVE_ROWS = 4_000
-BEGIN = np.uint64(0x5EED)
+CHUNK = 12 << 20  # bytes of text whose words are scored together
+ORDER = 6  # bytes of the longest expression, the predicted one included
+SHARED = 3  # bytes of the shared counts
 
 
 def fold(column) -> F.Column:
     return F.crc32(F.col(column).cast("string").cast("binary")) % 5
 
 
-def _tokens(texts, pw: K.Powers):
-    """Word fingerprints, the fingerprint before each (BEGIN at a text's start), and rows."""
+def _words(texts, pw: K.Powers):
+    """Distinct words as one padded buffer, the place of each text word among them, and its row."""
     buf, offsets = K.text_buffer(texts)
     low = K.LOWER[buf]
     starts, ends, rows = K.word_spans(low, offsets, K.ALNUM_WORD)
-    words = K.word_prints(low, starts, ends, pw)
-    before = np.concatenate([[BEGIN], words[:-1]]) if len(words) else words
-    first = np.ones(len(rows), bool)
-    first[1:] = rows[1:] != rows[:-1]
-    before[first] = BEGIN
-    return words, before, rows, len(offsets) - 1
-
-
-def _pair(u: np.ndarray, w: np.ndarray) -> np.ndarray:
-    return K.mix(u * K.U(0x9E3779B97F4A7C15) ^ K.mix(w))
+    prints = K.word_prints(low, starts, ends, pw)
+    _, first, place = np.unique(prints, return_index=True, return_inverse=True)
+    a, n = starts[first], (ends - starts)[first]
+    # five bytes before each word (four zeros and a space), one space after it
+    begin = np.concatenate([[0], np.cumsum(n + ORDER)])
+    out = np.zeros(int(begin[-1]) + 2, np.uint8)
+    out[begin[:-1] + ORDER - 2] = 0x20
+    inner = np.repeat(begin[:-1] + ORDER - 1 - (np.cumsum(n) - n), n) + np.arange(n.sum())
+    source = np.repeat(a - (np.cumsum(n) - n), n) + np.arange(n.sum())
+    out[inner] = low[source]
+    out[begin[1:] - 1] = 0x20
+    return out, begin, n + 1, place, rows, len(offsets) - 1
+
+
+def _grams(out: np.ndarray, begin: np.ndarray, n: np.ndarray):
+    """The six bytes that end at each predicted byte (first byte lowest), and the word of each."""
+    m = int(begin[-1])
+    if not m:
+        return np.zeros(0, K.U), np.zeros(0, np.int64)
+    view = np.ndarray((m - ORDER + 1,), "<u8", buffer=np.ascontiguousarray(out).data, strides=(1,))
+    word = np.repeat(np.arange(len(n)), n)
+    at = np.repeat(begin[:-1] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+    return view[at] & K.U((1 << 8 * ORDER) - 1), word
 
 
 def _sample(docs: DataFrame, labels: DataFrame, fit_rows: int, curve_rows: int) -> DataFrame:
@@ -67,73 +85,100 @@ def _sample(docs: DataFrame, labels: DataFrame, fit_rows: int, curve_rows: int)
     return docs.select("doc_id", "text").join(F.broadcast(pick), "doc_id").select("toxic", "curve", "text")
 
 
-def _bigrams(sample: DataFrame) -> DataFrame:
-    """(u, w, c0, c1): counts of each pair of words by class."""
+def _expressions(sample: DataFrame) -> DataFrame:
+    """(g, c0, c1): counts of each six-byte expression by class."""
 
     def count(batches):
         pw = K.Powers()
         for batch in batches:
-            for a in range(0, batch.num_rows, 2048):
-                part = batch.slice(a, 2048)
-                toxic = part.column(0).to_numpy(zero_copy_only=False)
-                words, before, rows, _ = _tokens(part.column(2), pw)
-                key = np.stack([before, words, toxic[rows].astype(K.U)], axis=1)
-                order = np.lexsort((key[:, 2], key[:, 1], key[:, 0]))
-                key = key[order]
-                new = np.ones(len(key), bool)
-                new[1:] = (key[1:] != key[:-1]).any(axis=1)
-                n = np.diff(np.concatenate([np.flatnonzero(new), [len(key)]]))
-                k = key[new]
-                yield pa.RecordBatch.from_arrays([pa.array(k[:, 0].view(np.int64)), pa.array(k[:, 1].view(np.int64)), pa.array(np.where(k[:, 2] == 0, n, 0)), pa.array(np.where(k[:, 2] == 1, n, 0))], names=["u", "w", "c0", "c1"])
-
-    found = sample.where(~F.col("curve")).mapInArrow(count, "u long, w long, c0 long, c1 long")
-    return found.groupBy("u", "w").agg(F.sum("c0").alias("c0"), F.sum("c1").alias("c1"))
-
-
-def _corpus_counts(docs: DataFrame, words) -> DataFrame:
-    """(w, n): how often each of the models' words occurs in all documents."""
+            toxic = batch.column(0).to_numpy(zero_copy_only=False)
+            _, offsets = K.text_buffer(batch.column(2))
+            for a, b in row_ranges(offsets, CHUNK):
+                out, begin, n, place, rows, _ = _words(batch.column(2).slice(a, b - a), pw)
+                grams, word = _grams(out, begin, n)
+                keys, at = np.unique(grams, return_inverse=True)
+                cols = []
+                for c in (0, 1):
+                    times = np.bincount(place[toxic[a:b][rows] == c], minlength=len(n))
+                    cols.append(pa.array(np.bincount(at, times[word], len(keys)).astype(np.int64)))
+                yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), *cols], names=["g", "c0", "c1"])
+
+    found = sample.where(~F.col("curve")).mapInArrow(count, "g long, c0 long, c1 long")
+    return found.groupBy("g").agg(F.sum("c0").alias("c0"), F.sum("c1").alias("c1"))
+
+
+def _shared_counts(docs: DataFrame) -> DataFrame:
+    """(g, n): how often each three-byte expression occurs in all documents; at most 256^3 rows."""
 
     def count(batches):
-        pw, table = K.Powers(), words.value
-        held = np.zeros(len(table), np.int64)
+        pw = K.Powers()
         for batch in batches:
-            for a in range(0, batch.num_rows, 2048):
-                found = _tokens(batch.column(0).slice(a, 2048), pw)[0]
-                at = np.searchsorted(table, found)
-                at[at == len(table)] = 0
-                held += np.bincount(at[table[at] == found], minlength=len(table))
-        full = np.flatnonzero(held)
-        yield pa.RecordBatch.from_arrays([pa.array(table[full].view(np.int64)), pa.array(held[full])], names=["w", "n"])
-
-    return docs.select("text").mapInArrow(count, "w long, n long").groupBy("w").agg(F.sum("n").alias("n"))
+            _, offsets = K.text_buffer(batch.column(0))
+            for a, b in row_ranges(offsets, CHUNK):
+                out, begin, n, place, _, _ = _words(batch.column(0).slice(a, b - a), pw)
+                grams, word = _grams(out, begin, n)
+                keys, at = np.unique(grams >> K.U(8 * (ORDER - SHARED)), return_inverse=True)
+                total = np.bincount(at, np.bincount(place, minlength=len(n))[word], len(keys)).astype(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(total)], names=["g", "n"])
+
+    return docs.select("text").mapInArrow(count, "g long, n long").groupBy("g").agg(F.sum("n").alias("n"))
+
+
+def _find(table: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """The place of each key in a sorted table, or its length."""
+    if not len(table):
+        return np.zeros(len(keys), np.int64)
+    at = np.searchsorted(table, keys)
+    at[at == len(table)] = 0
+    return np.where(table[at] == keys, at, len(table))
+
+
+class Level:
+    """One order of both models: discounted parts by expression, backoff weights by context."""
+
+    def __init__(self, order: int, grams: np.ndarray, counts: np.ndarray, least: int = 0):
+        self.order = order
+        context = grams & K.U((1 << 8 * (order - 1)) - 1)
+        self.contexts, at = np.unique(context, return_inverse=True)
+        self.backoff = np.ones((len(self.contexts) + 1, 2), np.float32)
+        keep = counts.sum(axis=1) > least
+        self.grams = grams[keep]
+        self.parts = np.zeros((len(self.grams) + 1, 2), np.float32)
+        for c in (0, 1):
+            n = counts[:, c].astype(float)
+            total = np.maximum(1.0, np.bincount(at, n, len(self.contexts)))
+            part = np.where(keep, np.maximum(n - _discount((n == 1).sum(), (n == 2).sum()), 0), 0) / total[at]
+            self.parts[:-1, c] = part[keep]
+            self.backoff[:-1, c] = np.maximum(1e-9, 1 - np.bincount(at, part, len(self.contexts)))
+
+    def over(self, grams: np.ndarray, lower: np.ndarray) -> np.ndarray:
+        """Probabilities of both classes from those of the order below."""
+        keys = grams >> K.U(8 * (ORDER - self.order))
+        contexts = keys & K.U((1 << 8 * (self.order - 1)) - 1)
+        return self.parts[_find(self.grams, keys)] + self.backoff[_find(self.contexts, contexts)] * lower
 
 
 class Model:
-    """Sorted tables for scoring: word parts and backoff weights by word, bigram parts by pair."""
+    """The levels from the shared counts up, and the curve."""
 
-    def __init__(self, words, word_part, backoff, pairs, pair_part, unseen, curve=(0.0, 0.0)):
-        self.words, self.word_part, self.backoff = words, word_part, backoff
-        self.pairs, self.pair_part, self.unseen, self.curve = pairs, pair_part, unseen, curve
+    def __init__(self, shared: tuple, levels: list, curve=(-1e-9, 0.0)):
+        self.shared, self.levels, self.curve = shared, levels, curve
 
     def ratios(self, texts, pw: K.Powers) -> np.ndarray:
-        """Mean log ratio of toxic to ordinary probability over the words of each text."""
-        words, before, rows, n = _tokens(texts, pw)
-        if not len(words) or not len(self.words):
-            return np.zeros(n)
-
-        def find(table, keys):
-            at = np.searchsorted(table, keys)
-            at[at == len(table)] = 0
-            return np.where(table[at] == keys, at, len(table))
-
-        w, u = find(self.words, words), find(self.words, before)
-        pair = find(self.pairs, _pair(before, words)) if len(self.pairs) else np.zeros(len(words), int)
-        p = self.pair_part[pair] + self.backoff[u] * self.word_part[w]
-        ratio = np.log(p[:, 1]) - np.log(p[:, 0])
-        return np.bincount(rows, ratio, n) / np.maximum(1, np.bincount(rows, minlength=n))
+        """Log ratio of toxic to ordinary likelihood by text, over the number of bytes predicted."""
+        out, begin, n, place, rows, n_rows = _words(texts, pw)
+        if not len(n) or not self.levels:
+            return np.zeros(n_rows)
+        grams, word = _grams(out, begin, n)
+        keys, p = self.shared
+        p = p[_find(keys, grams >> K.U(8 * (ORDER - SHARED)))][:, None]
+        for level in self.levels:
+            p = level.over(grams, p)
+        ratio = np.bincount(word, np.log(p[:, 1]) - np.log(p[:, 0]), len(n))
+        return np.bincount(rows, ratio[place], n_rows) / np.maximum(1, np.bincount(rows, n[place], n_rows))
 
     def scores(self, texts, pw: K.Powers) -> np.ndarray:
-        return 1 / (1 + np.exp(-(self.curve[0] + self.curve[1] * self.ratios(texts, pw))))
+        return 1 / (1 + np.exp(-np.clip(self.curve[0] + self.curve[1] * self.ratios(texts, pw), -60, 60)))
 
 
 def _discount(n1: float, n2: float) -> float:
@@ -158,62 +203,44 @@ def _fit_curve(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(b[0]), float(b[1] / scale)
 
 
-def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, curve_rows: int = CURVE_ROWS) -> Model:
-    """Count, smooth and calibrate; what the driver collects is bounded by the sample."""
-    from .common import written
+def _merged(grams: np.ndarray, counts: np.ndarray):
+    """Continuation counts one order down: how many expressions of each class end in each suffix."""
+    keys, at = np.unique(grams >> K.U(8), return_inverse=True)
+    return keys, np.stack([np.bincount(at, counts[:, c] > 0, len(keys)) for c in (0, 1)], axis=1)
+
 
+def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, curve_rows: int = CURVE_ROWS) -> Model:
+    """Count, smooth and calibrate; what the driver collects is bounded by the sample's expressions."""
     spark = docs.sparkSession
     sample = _sample(docs, labels, fit_rows, curve_rows)
-    grams = written(_bigrams(sample), "toxicity-bigrams")
-    orders = grams.agg(*[F.sum((F.col(f"c{c}") == k).cast("long")).alias(f"n{k}{c}") for c in (0, 1) for k in (1, 2)]).first()
-    d2 = [_discount(orders[f"n1{c}"] or 0, orders[f"n2{c}"] or 0) for c in (0, 1)]
-    # continuation counts (contexts before a word) and history totals (words after it)
-    right = grams.groupBy(F.col("w").alias("x")).agg(*[F.sum((F.col(f"c{c}") > 0).cast("long")).alias(f"t{c}") for c in (0, 1)])
-    left = grams.groupBy(F.col("u").alias("x")).agg(*[F.sum(f"c{c}").alias(f"h{c}") for c in (0, 1)])
-    vocab = right.join(left, "x", "full").na.fill(0).where("t0 + t1 > 1 or h0 + h1 > 1").toPandas()
-    pairs = grams.where("c0 + c1 > 1").toPandas()
-    if not len(vocab):
-        return Model(*[np.zeros(0)] * 6, curve=(-1e-9, 0.0))
-
-    words = vocab["x"].to_numpy(np.int64).view(K.U)
-    order = np.argsort(words)
-    words, vocab = words[order], vocab.iloc[order]
-    sent = spark.sparkContext.broadcast(words)
-    corpus = _corpus_counts(docs, sent).toPandas()
-    shared = np.full(len(words), 0.5)
-    if len(corpus):
-        shared[np.searchsorted(words, corpus["w"].to_numpy(np.int64).view(K.U))] += corpus["n"].to_numpy()
-    unseen = 0.5
-    shared = np.concatenate([shared, [unseen]]) / (shared.sum() + unseen)
-
-    word_part = np.empty((len(words) + 1, 2))
-    backoff = np.ones((len(words) + 1, 2))
-    pu = np.searchsorted(words, pairs["u"].to_numpy(np.int64).view(K.U))
-    pair_part = np.zeros((len(pairs) + 1, 2))
-    for c in (0, 1):
-        t = vocab[f"t{c}"].to_numpy(float)
-        d1 = _discount((t == 1).sum(), (t == 2).sum())
-        total = max(1.0, t.sum())
-        own = np.maximum(t - d1, 0) / total
-        word_part[:-1, c] = own
-        word_part[-1, c] = 0
-        word_part[:, c] += (1 - own.sum()) * shared
-        h = np.maximum(1.0, vocab[f"h{c}"].to_numpy(float))
-        part = np.maximum(pairs[f"c{c}"].to_numpy(float) - d2[c], 0) / h[pu]
-        pair_part[:-1, c] = part
-        backoff[:-1, c] = 1 - np.bincount(pu, part, len(words))
-    keys = _pair(pairs["u"].to_numpy(np.int64).view(K.U), pairs["w"].to_numpy(np.int64).view(K.U))
+    seen = _expressions(sample).toPandas()
+    if not len(seen) or not seen["c0"].sum() or not seen["c1"].sum():
+        return Model((np.zeros(0, K.U), np.ones(1)), [])
+    grams = seen["g"].to_numpy(np.int64).view(K.U)
+    order = np.argsort(grams)
+    grams, counts = grams[order], seen[["c0", "c1"]].to_numpy(np.int64)[order]
+
+    corpus = _shared_counts(docs).toPandas()
+    keys = corpus["g"].to_numpy(np.int64).view(K.U)
     order = np.argsort(keys)
-    pair_part[:-1] = pair_part[:-1][order]
-    model = Model(words, word_part, np.maximum(backoff, 1e-12), keys[order], pair_part, unseen)
+    keys, n = keys[order], corpus["n"].to_numpy(float)[order]
+    _, at = np.unique(keys & K.U((1 << 8 * (SHARED - 1)) - 1), return_inverse=True)
+    shared = (n + 1 / 256) / (np.bincount(at, n)[at] + 1)
+
+    levels, k = [Level(ORDER, grams, counts, least=1)], ORDER
+    while k > SHARED + 1:
+        k -= 1
+        grams, counts = _merged(grams, counts)
+        levels.insert(0, Level(k, grams, counts))
+    model = Model((keys, np.concatenate([shared, [1 / 256]]).astype(np.float32)), levels)
 
     held = spark.sparkContext.broadcast(model)
 
     def ratios(batches):
         pw = K.Powers()
         for batch in batches:
-            for a in range(0, batch.num_rows, 1024):
-                part = batch.slice(a, 1024)
+            for a, b in row_ranges(K.text_buffer(batch.column(1))[1], CHUNK):
+                part = batch.slice(a, b - a)
                 yield pa.RecordBatch.from_arrays([pa.array(held.value.ratios(part.column(1), pw)), part.column(0)], names=["x", "y"])
 
     seen = sample.where("curve").select("toxic", "text").mapInArrow(ratios, "x double, y int").toPandas()
@@ -228,8 +255,8 @@ def _with_scores(docs: DataFrame, model: Model, keep: list[str]) -> DataFrame:
     def run(batches):
         pw = K.Powers()
         for batch in batches:
-            for a in range(0, batch.num_rows, 1024):
-                part = batch.slice(a, 1024)
+            for a, b in row_ranges(K.text_buffer(batch.column(batch.num_columns - 1))[1], CHUNK):
+                part = batch.slice(a, b - a)
                 arrays = [part.column(i) for i in range(part.num_columns - 1)]
                 yield pa.RecordBatch.from_arrays([*arrays, pa.array(held.value.scores(part.column(part.num_columns - 1), pw))], names=[*keep, "_score"])
 
