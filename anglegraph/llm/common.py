@@ -48,8 +48,9 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 
 def plan_bytes(df: DataFrame, column: str = "text") -> int:
-    """Bytes of the column: the optimizer's estimate, or a sum where it has none."""
-    size = int(str(df.select(column)._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    """Bytes at rest of what the plan reads, as the optimizer knows them, or a sum over the column."""
+    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    size = sum(int(str(leaves.apply(i).stats().sizeInBytes())) for i in range(leaves.size()))
     if size > 1 << 58:
         size = df.agg(F.sum(F.octet_length(column))).first()[0] or 0
     return size
