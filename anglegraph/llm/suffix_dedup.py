@@ -10,7 +10,8 @@ order, and a name can be made in any task. Three steps, each counting names by k
    meeting T holds, with the name of all bytes of those windows. A parse name that occurs once
    rules all those windows out; if every whole name under it repeats, they are all in.
 2. under the parse names left, and for windows without a trigger near their start, the dictionary
-   part decides: windows are named one by one, in the undecided groups alone.
+   part decides: windows are named one by one, in the undecided groups alone, and only those that
+   hold no parse name that occurs once.
 3. windows whose name repeats are removed; maximal removed runs are counted.
 
 `block_suffix_order` gives the lexicographic order of one bounded text from the suffix arrays of its
@@ -193,6 +194,9 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 200) -> DataFrame:
         gone = K.cover(p.low[yes], p.high[yes] + width, len(buf))
         far = p.far()
         starts = np.sort(np.concatenate([_expand(p.low[ask], p.high[ask]), far]))
+        # a window holds the parse name of every trigger within reach; one that occurs once rules it out
+        once = p.at[~(yes | ask)]
+        starts = starts[np.searchsorted(once, starts) == np.searchsorted(once, starts + REACH, "right")]
         undecided = np.zeros(table.num_rows, bool)
         undecided[np.searchsorted(offsets, starts, "right") - 1] = True
         done = np.flatnonzero(~undecided)
