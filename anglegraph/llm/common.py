@@ -47,6 +47,14 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(schema).parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark's cleaner drop the shuffle files of steps that are written and no longer referred to."""
+    import gc
+
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def plan_bytes(df: DataFrame, column: str = "text") -> int:
     """Bytes at rest of what the plan reads, as the optimizer knows them, or a sum over the column."""
     leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import n_blocks, pack_blocks, plan_bytes, unpack, written
+from .common import n_blocks, pack_blocks, plan_bytes, release, unpack, written
 from .components import connected_components
 from .substring_dedup import KEYS_A_BUCKET, answered, send, shared_keys
 
@@ -321,6 +321,7 @@ def _links(sets: DataFrame, region: DataFrame) -> DataFrame:
 def join_documents(docs: DataFrame, width: int = 5) -> DataFrame:
     """doc_id, n_shingles, component_id for each row of (doc_id, text)."""
     rows = _sieved(docs.select("doc_id", "text"), width)
+    release(docs.sparkSession)
     sets, ties = _regions(rows)
     region = connected_components(ties)
     groups = connected_components(_links(sets, region)).select(F.col("node").alias("fp"), "component")

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import kernels as K
-from .common import arrow_schema, n_blocks, pack_blocks, plan_bytes, unpack, written
+from .common import arrow_schema, n_blocks, pack_blocks, plan_bytes, release, unpack, written
 from .substring_dedup import KEYS_A_BUCKET, _never_none, answered, send, shared_keys
 
 GRAM = 8  # bytes of a trigger
@@ -80,19 +80,24 @@ class Parse:
         before = np.concatenate([[-1], at[:-1]]) if len(at) else at
         low = np.maximum(np.maximum(before + 1, offsets[row]), at - REACH)
         high = np.minimum(at, offsets[row + 1] - width)
-        ok = low <= high
+        # a trigger too near its text's end to be first in a window still has a parse name to count
+        ok = at + width - REACH <= offsets[row + 1]
         self.at, self.low, self.high = at[ok], low[ok], high[ok]
+        self.first = self.low <= self.high
 
     def names(self, pw: K.Powers) -> tuple[np.ndarray, np.ndarray]:
+        """Parse and whole names; the whole name of a trigger that is first in no window is 0."""
         parse = name_ranges(self.buf, self.at, self.at + self.width - REACH, pw)
-        whole = name_ranges(self.buf, self.low, self.high + self.width, pw)
-        shape = ((self.at - self.low) * 4096 + (self.high - self.low)).astype(K.U)
-        return parse, K.mix(whole + shape * K.U(0x9E3779B97F4A7C15))
+        whole = np.zeros(len(parse), K.U)
+        low, high = self.low[self.first], self.high[self.first]
+        shape = ((self.at[self.first] - low) * 4096 + (high - low)).astype(K.U)
+        whole[self.first] = K.mix(name_ranges(self.buf, low, high + self.width, pw) + shape * K.U(0x9E3779B97F4A7C15)) | K.U(1)
+        return parse, whole
 
     def far(self) -> np.ndarray:
         """Window starts with no trigger within reach."""
         n = len(self.buf)
-        near = K.cover(self.low, self.high + 1, n)
+        near = K.cover(self.low[self.first], self.high[self.first] + 1, n)
         lengths = np.diff(self.offsets)
         starts = self.offsets[:-1][lengths >= self.width]
         ends = self.offsets[1:][lengths >= self.width] - self.width + 1
@@ -132,7 +137,7 @@ def _parse_order(sent: DataFrame, buckets: int) -> DataFrame:
         new_p = np.concatenate([[True], p[1:] != p[:-1]])
         new_w = np.concatenate([[True], (p[1:] != p[:-1]) | (w[1:] != w[:-1])])
         head_w = np.flatnonzero(new_w)
-        alone = np.diff(np.concatenate([head_w, [len(p)]])) == 1
+        alone = (np.diff(np.concatenate([head_w, [len(p)]])) == 1) & (w[head_w] != 0)
         head_p = np.flatnonzero(new_p)
         size = np.diff(np.concatenate([head_p, [len(p)]]))
         lone = np.add.reduceat(np.bincount(head_w, alone, len(p)), head_p)
@@ -191,9 +196,8 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 200) -> DataFrame:
         may = np.sort(np.concatenate(may)) if may else np.zeros(0, K.U)
         names = name_ranges(buf, p.at, p.at + width - REACH, pw)
         yes, ask = K.isin_sorted(names, answered(right)), K.isin_sorted(names, may)
-        gone = K.cover(p.low[yes], p.high[yes] + width, len(buf))
-        far = p.far()
-        starts = np.sort(np.concatenate([_expand(p.low[ask], p.high[ask]), far]))
+        gone = K.cover(p.low[yes & p.first], p.high[yes & p.first] + width, len(buf))
+        starts = np.sort(np.concatenate([_expand(p.low[ask & p.first], p.high[ask & p.first]), p.far()]))
         # a window holds the parse name of every trigger within reach; one that occurs once rules it out
         once = p.at[~(yes | ask)]
         starts = starts[np.searchsorted(once, starts) == np.searchsorted(once, starts + REACH, "right")]
@@ -223,6 +227,8 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 200) -> DataFrame:
         return pa.concat_tables(out)
 
     step = written(parts.groupBy("block").cogroup(order.groupBy("block")).applyInArrow(_never_none(settle, first), first), "parse-order")
+    del parts, order
+    release(docs.sparkSession)
 
     def finish(left: pa.Table, right: pa.Table) -> pa.Table:
         if not left.num_rows:
