@@ -329,10 +329,16 @@ def index_edges(index: DataFrame) -> DataFrame:
 ANSWERS = "qid long, id long, dist double, n_dist long, expansions long, hops long"
 
 
-def search_index(index: DataFrame, queries: DataFrame, k: int, size: int, n_probe: int | None = None, exclude_self: bool = False) -> DataFrame:
-    """(qid, rank, id, dist, n_dist, expansions, hops): the k nearest found over all shards.
+def search_index(index: DataFrame, queries: DataFrame, k: int, size: int, **more) -> DataFrame:
+    """(qid, rank, id, dist): the k nearest found over all shards."""
+    return merge_answers(search_shards(index, queries, k, size, **more), k)
 
-    queries: (qid, vec). n_dist sums the shards probed. n_probe: the shards with the closest centres only.
+
+def search_shards(index: DataFrame, queries: DataFrame, k: int, size: int, n_probe: int | None = None, exclude_self: bool = False) -> DataFrame:
+    """(qid, id, dist, n_dist, expansions, hops): the k nearest that each shard finds.
+
+    queries: (qid, vec). The counts of a shard stand on its first row for a query, so sums over a
+    query count each shard once. n_probe: the shards with the closest centres only.
     """
     spark = index.sparkSession
     ask = queries.select("qid", "vec")
@@ -353,7 +359,7 @@ def search_index(index: DataFrame, queries: DataFrame, k: int, size: int, n_prob
                         pos, d, n, e, h = search_shard(s, q, take, size)
                         got = [(int(s["ids"][p]), float(v)) for p, v in zip(pos, d)]
                         got = [g for g in got if not (exclude_self and g[0] == qid)][:k]
-                        rows += [(qid, g, float(np.sqrt(v)), n, e, h) for g, v in got]
+                        rows += [(qid, g, float(np.sqrt(v)), *((n, e, h) if j == 0 else (0, 0, 0))) for j, (g, v) in enumerate(got)]
                     yield pa.RecordBatch.from_pandas(pd.DataFrame(rows, columns=["qid", "id", "dist", "n_dist", "expansions", "hops"]).astype({"qid": "int64", "id": "int64", "dist": "float64", "n_dist": "int64", "expansions": "int64", "hops": "int64"}), preserve_index=False)
 
         if n_probe is not None:
@@ -366,7 +372,7 @@ def search_index(index: DataFrame, queries: DataFrame, k: int, size: int, n_prob
         else:
             part = index.select("shard", "blob").mapInArrow(run, ANSWERS)
         found = part if found is None else found.unionAll(part)
-    return merge_answers(found, k)
+    return found
 
 
 def _query_blocks(ask: DataFrame):
@@ -383,10 +389,10 @@ def _query_blocks(ask: DataFrame):
 
 
 def merge_answers(found: DataFrame, k: int) -> DataFrame:
-    """The k best of each query over all shards, with the shards' counts summed."""
+    """The k best of each query over all shards."""
     w = Window.partitionBy("qid").orderBy("dist", "id")
     best = found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
-    return best.select("qid", "rank", "id", "dist", "n_dist", "expansions", "hops")
+    return best.select("qid", "rank", "id", "dist")
 
 
 def save_index(index: DataFrame, path: str) -> None:
