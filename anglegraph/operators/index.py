@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 
 from ..functions import graph_kernels as G
 from ..functions.geometry import cos_degrees, portable_hash
+from ..plans.lineage import cut
 
 SHARD_ROWS = 1 << 20
 QUERY_BYTES = 256 << 20
@@ -307,7 +308,8 @@ def build_index(vectors: DataFrame, method: str, n_shards: int | None = 1, routi
         blob = _dump(s)
         return pa.table({"shard": pa.array([key[0].as_py()], pa.int32()), "method": [method], "n": pa.array([rows.num_rows], pa.int64()), "t1": [s["t1"]], "t2": [s["t2"]], "n_edges": pa.array([sum(deg)], pa.int64()), "max_degree": pa.array([max(deg)], pa.int64()), "links": pa.array([s["links"]], pa.int64()), "centre": [s["x"].mean(axis=0).tolist()], "blob": pa.array([blob], pa.binary())})
 
-    return dealt.groupBy("shard").applyInArrow(build, "shard int, method string, n long, t1 double, t2 double, n_edges long, max_degree long, links long, centre array<double>, blob binary")
+    built = dealt.groupBy("shard").applyInArrow(build, "shard int, method string, n long, t1 double, t2 double, n_edges long, max_degree long, links long, centre array<double>, blob binary")
+    return cut(built)  # an index is built once, however many searches follow
 
 
 def index_edges(index: DataFrame) -> DataFrame:
