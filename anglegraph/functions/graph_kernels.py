@@ -40,17 +40,18 @@ def exact_lists(x: np.ndarray, k: int, block: int = 512) -> np.ndarray:
     return out
 
 
-def greedy(x: np.ndarray, p: int, cands: np.ndarray, cos_alpha: float | None, cap: int | None = None, d2=None, start=()) -> list[int]:
+def greedy(x: np.ndarray, p: int, cands: np.ndarray, cos_alpha: float | None, cap: int | None = None, every: np.ndarray | None = None) -> list[int]:
     """Candidates of p kept in order of (distance, position): no kept one may conflict.
 
-    cos_alpha: the angle rule; None: the lune rule (a kept point closer to both ends).
+    cos_alpha: the angle rule; None: the lune rule (a kept point closer to both ends). every: all
+    squared distances, where they are at hand.
     """
-    d2 = sq_to(x[p], x[cands]) if d2 is None else d2
+    d2 = sq_to(x[p], x[cands]) if every is None else every[p, cands]
     order = np.lexsort((cands, d2))
     cands, d2 = cands[order], d2[order]
-    small = len(cands) <= 400
+    small = len(cands) <= 200 or every is not None
     if small:
-        between = sq_pairs(x[cands])
+        between = sq_pairs(x[cands]) if every is None else every[np.ix_(cands, cands)]
         if cos_alpha is None:
             clash = (d2[None, :] < d2[:, None]) & (between < d2[:, None])
         else:
@@ -75,8 +76,25 @@ def greedy(x: np.ndarray, p: int, cands: np.ndarray, cos_alpha: float | None, ca
 
 def complete_graph(x, cos_alpha, cap=None):
     """The exact graph: every other point is a candidate."""
-    every = np.arange(len(x))
-    return [greedy(x, p, np.delete(every, p), cos_alpha, cap) for p in every]
+    points = np.arange(len(x))
+    table = all_pairs(x) if len(x) <= 3000 else None
+    return [greedy(x, p, np.delete(points, p), cos_alpha, cap, table) for p in points]
+
+
+def all_pairs(x: np.ndarray) -> np.ndarray:
+    return np.stack([sq_to(p, x) for p in x]) if len(x) else np.zeros((0, 0))
+
+
+def violations(x: np.ndarray, graph) -> int:
+    """Pairs (p, q) with no out-neighbour of p closer to q than p is."""
+    table = all_pairs(x)
+    bad = 0
+    for p, out in enumerate(graph):
+        best = table[out].min(axis=0) if out else np.full(len(x), np.inf)
+        worse = best >= table[p]
+        worse[p] = False
+        bad += int(worse.sum())
+    return bad
 
 
 def two_hop(lists: np.ndarray, p: int, size: int, trim_x: np.ndarray | None = None) -> np.ndarray:

@@ -328,6 +328,18 @@ def index_edges(index: DataFrame) -> DataFrame:
     return index.select("blob").mapInArrow(run, "src long, dst long, dist double, rank int")
 
 
+def index_violations(index: DataFrame) -> DataFrame:
+    """(violations): pairs without a monotone first step, over the shards; n squared in a shard."""
+
+    def run(batches):
+        for b in batches:
+            for blob in b.column("blob"):
+                s = _load(blob.as_py())
+                yield pa.RecordBatch.from_pydict({"v": pa.array([G.violations(s["x"], s["graph"])], pa.int64())})
+
+    return index.select("blob").mapInArrow(run, "v long").agg(F.sum("v").alias("violations"))
+
+
 ANSWERS = "qid long, id long, dist double, n_dist long, expansions long, hops long"
 
 

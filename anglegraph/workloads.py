@@ -102,7 +102,7 @@ def w7_alpha_sweep(vectors: DataFrame, alphas=(30.0, 50.0, 55.0, 60.0, 65.0, 70.
     for a in alphas:
         ix = I.build_index(base, "exact_angle", alpha=a)
         e = I.index_edges(ix)
-        bad = N.monotonic_violations(e, base).agg(F.count("*").alias("violations"))
+        bad = I.index_violations(ix)
         out.append(_labelled(measured(ix, q, truth, 10, 20).crossJoin(N.degree_stats(e)).crossJoin(bad), alpha=a))
     return _union(out)
 
