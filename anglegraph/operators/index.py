@@ -10,7 +10,6 @@ and lets a query probe only the closest shards.
 
 from __future__ import annotations
 
-import io
 import time
 
 import numpy as np
@@ -25,7 +24,7 @@ from ..plans.lineage import cut
 
 SHARD_ROWS = 1 << 20
 QUERY_BYTES = 256 << 20
-GRAPHS = ("nag", "nag_on_the_fly", "exact_angle", "mrng", "nav_mrng", "hnsw", "nsw", "knn_graph", "knn_graph_tree", "diversified")
+GRAPHS = ("nag", "nag_on_the_fly", "exact_angle", "mrng", "nav_mrng", "hnsw", "nsw", "knn_graph", "knn_graph_tree", "knn_graph_lsh", "pruned_knn", "diversified")
 OTHERS = ("scan", "ivf_flat", "ivf_pq", "pq", "kd_forest", "kmeans_tree", "kd_kmeans_forest", "two_means_forest", "lsh", "spectral_hash")
 METHODS = GRAPHS + OTHERS
 
@@ -110,6 +109,11 @@ def _leaves(trees, q, checks):
     return np.unique(np.array(found, int)), spent
 
 
+def _bucket(s, x) -> np.ndarray:
+    """The sign code of points as a number of a few bits."""
+    return ((x - s["mean"]) @ s["plane"] > 0) @ (1 << np.arange(s["plane"].shape[1]))
+
+
 def build_shard(method: str, ids: np.ndarray, x: np.ndarray, p: dict) -> dict:
     """The structure of one shard with its report: seconds for lists (t1) and edges (t2), edges, links."""
     order = np.argsort(ids)
@@ -119,7 +123,7 @@ def build_shard(method: str, ids: np.ndarray, x: np.ndarray, p: dict) -> dict:
     s = {"method": method, "ids": ids, "x": x, "p": p, "links": 0, "entry": np.zeros(1, int)}
     t = time.perf_counter()
     lists = None
-    if method in ("nag", "nav_mrng", "knn_graph", "knn_graph_tree", "diversified"):
+    if method in ("nag", "nav_mrng", "knn_graph", "knn_graph_tree", "knn_graph_lsh", "pruned_knn", "diversified"):
         lists = G.nn_descent(x, ids, p["k"], seed=p["seed"]) if p["knn"] == "nn_descent" else G.exact_lists(x, p["k"])
     s["t1"] = time.perf_counter() - t
     t = time.perf_counter()
@@ -143,11 +147,21 @@ def build_shard(method: str, ids: np.ndarray, x: np.ndarray, p: dict) -> dict:
     elif method in ("exact_angle", "mrng"):
         s["graph"] = G.complete_graph(x, cos if method == "exact_angle" else None)
         s["entry"] = G.pick(ids, 1, p["seed"])
-    elif method in ("knn_graph", "knn_graph_tree"):
+    elif method == "pruned_knn":  # neighbour lists thinned by the lune rule, with back edges
+        graph = G.reverse_refine(x, [G.greedy(x, i, c, None, p["r"]) if len(c) else [] for i, c in enumerate(lists)], None, p["r"], "insert")
+        s["entry"] = G.pick(ids, min(n, p["n_navigators"]), p["seed"])
+        s["links"] = G.strengthen(x, graph, s["entry"], p["r"])
+        s["graph"] = graph
+    elif method in ("knn_graph", "knn_graph_tree", "knn_graph_lsh"):
         s["graph"] = [r.tolist() for r in lists]
         s["entry"] = G.pick(ids, min(n, p["n_navigators"]), p["seed"])
         if method == "knn_graph_tree":
             s["trees"] = [_kd(x, np.arange(n), p["leaf"], np.random.default_rng(p["seed"]))]
+        if method == "knn_graph_lsh":
+            s |= {"mean": x.mean(axis=0), "plane": np.random.default_rng(p["seed"]).standard_normal((x.shape[1], min(p["hash_bits"], 12)))}
+            code = _bucket(s, x)
+            order = np.argsort(code, kind="stable")
+            s |= {"members": order, "codes_sorted": code[order]}
     elif method == "diversified":
         graph = [G.widest(x, i, r, max(1, len(r) // 2)) if len(r) else [] for i, r in enumerate(lists)]
         back: list[list[int]] = [list(g) for g in graph]
@@ -229,6 +243,9 @@ def search_shard(s: dict, q: np.ndarray, k: int, size: int):
         if "trees" in s:
             at, extra = _leaves(s["trees"], q, 1)
             spent += extra
+        if "members" in s:  # starts from the query's bucket, where it is not empty
+            a, b = (np.searchsorted(s["codes_sorted"], _bucket(s, q), side) for side in ("left", "right"))
+            at = s["members"][a : min(b, a + s["p"]["n_navigators"])] if a < b else at
         pos, d, n, e, h = G.walk(x, s["graph"], q, at, max(size, k), k)
         return pos, d, n + spent, e, h
     if method == "scan":
@@ -293,7 +310,7 @@ def route_centres(vectors: DataFrame, n_shards: int, seed: int = 0, sample: int
 
 
 def build_index(vectors: DataFrame, method: str, n_shards: int | None = 1, routing: str = "random", **params) -> DataFrame:
-    """(shard, method, n, t1, t2, n_edges, max_degree, links, width, blob): one row for each shard of (id, vec)."""
+    """(shard, method, n, t1, t2, n_edges, max_degree, links, centre, peak_mb, blob): one row for each shard of (id, vec)."""
     if method not in METHODS:
         raise ValueError(f"method is one of {METHODS}")
     unknown = set(params) - set(DEFAULTS)
@@ -303,12 +320,14 @@ def build_index(vectors: DataFrame, method: str, n_shards: int | None = 1, routi
     dealt = shard_of(vectors.select("id", "vec"), n_shards, routing, p["seed"])
 
     def build(key: tuple[pa.Scalar, ...], rows: pa.Table) -> pa.Table:
+        import resource
+
         s = build_shard(method, rows.column("id").to_numpy(), _vectors(rows), p)
         deg = [len(g) for g in s.get("graph", [])] or [0]
         blob = _dump(s)
-        return pa.table({"shard": pa.array([key[0].as_py()], pa.int32()), "method": [method], "n": pa.array([rows.num_rows], pa.int64()), "t1": [s["t1"]], "t2": [s["t2"]], "n_edges": pa.array([sum(deg)], pa.int64()), "max_degree": pa.array([max(deg)], pa.int64()), "links": pa.array([s["links"]], pa.int64()), "centre": [s["x"].mean(axis=0).tolist()], "blob": pa.array([blob], pa.binary())})
+        return pa.table({"shard": pa.array([key[0].as_py()], pa.int32()), "method": [method], "n": pa.array([rows.num_rows], pa.int64()), "t1": [s["t1"]], "t2": [s["t2"]], "n_edges": pa.array([sum(deg)], pa.int64()), "max_degree": pa.array([max(deg)], pa.int64()), "links": pa.array([s["links"]], pa.int64()), "centre": [s["x"].mean(axis=0).tolist()], "peak_mb": [resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024], "blob": pa.array([blob], pa.binary())})
 
-    built = dealt.groupBy("shard").applyInArrow(build, "shard int, method string, n long, t1 double, t2 double, n_edges long, max_degree long, links long, centre array<double>, blob binary")
+    built = dealt.groupBy("shard").applyInArrow(build, "shard int, method string, n long, t1 double, t2 double, n_edges long, max_degree long, links long, centre array<double>, peak_mb double, blob binary")
     return cut(built)  # an index is built once, however many searches follow
 
 

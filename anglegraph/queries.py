@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from . import catalog
+from . import catalog, stages
 from . import workloads as X
 from .functions import geometry as D
 from .operators import index as I
@@ -228,7 +228,7 @@ def tuned_curve(method, view):
 
 # Sizes and floors of the recall gates: search parameter, least precision on the embeddings.
 GATES = {
-    "nag": (120, 0.9), "nag_on_the_fly": (160, 0.8), "nav_mrng": (160, 0.85), "hnsw": (120, 0.85), "nsw": (120, 0.85), "knn_graph": (120, 0.9), "knn_graph_tree": (120, 0.9),
+    "nag": (120, 0.9), "nag_on_the_fly": (160, 0.8), "nav_mrng": (160, 0.85), "hnsw": (120, 0.85), "nsw": (120, 0.85), "knn_graph": (120, 0.9), "knn_graph_tree": (120, 0.9), "knn_graph_lsh": (120, 0.9), "pruned_knn": (160, 0.85),
     "diversified": (120, 0.9), "exact_angle": (120, 0.9), "mrng": (200, 0.8), "ivf_flat": (16, 0.99), "ivf_pq": (16, 0.2), "pq": (1, 0.2), "kd_forest": (400, 0.7),
     "kmeans_tree": (400, 0.7), "kd_kmeans_forest": (400, 0.7), "two_means_forest": (400, 0.7), "lsh": (400, 0.7), "spectral_hash": (400, 0.7), "scan": (0, 1.0),
 }
@@ -274,7 +274,7 @@ def queries() -> dict:
     out |= {"w4_curve_docs_nag": tuned_curve("nag", "docs"), "w4_curve_pages_nag": tuned_curve("nag", "pages"), "w4_curve_cust_nag": tuned_curve("nag", "cust")}
     out |= _workloads()
     out |= {"stream_tumbling": S.tumbling, "stream_sliding": S.sliding, "stream_sessions": S.sessions, "stream_dedupe": S.deduplicated, "stream_static_join": S.static_join}
-    return out | catalog.queries()
+    return out | stages.queries() | catalog.queries()
 
 
 EMB = "SELECT vec_id AS id, CAST(embedding AS DOUBLE[]) AS vec, label FROM embeddings"
@@ -351,4 +351,4 @@ def oracle_sql() -> dict[str, str]:
         "stream_static_join": "SELECT event_id, c_name FROM events JOIN customer ON user_id = c_custkey",
     }
     out |= {f"recall_{m}": "SELECT true AS precise, true AS complete" for m in GATES}
-    return out | catalog.oracle_sql()
+    return out | stages.oracle_sql() | catalog.oracle_sql()
