@@ -39,6 +39,7 @@ GRAM = 8  # bytes of a trigger
 RARITY = 24  # one in so many places is a trigger
 REACH = 136  # a window's first trigger counts if it starts within so many bytes
 STEP = 1 << 21  # bytes named at a time
+WHOLE_BYTES = 6  # of a whole name that are sent: it is compared under one 64-bit parse name only
 
 
 def triggers(buf: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -130,7 +131,7 @@ def _parse_order(sent: DataFrame, buckets: int) -> DataFrame:
     def meet(rows: pa.Table) -> pa.Table:
         blocks = rows.column("block").to_pylist()
         parse = [K.unpack_sorted(b.as_py()) for b in rows.column("keys")]
-        whole = [np.frombuffer(b.as_py(), "<u8") for b in rows.column("whole")]
+        whole = [_widen(b.as_py()) for b in rows.column("whole")]
         p, w = np.concatenate(parse), np.concatenate(whole)
         order = np.lexsort((w, p))
         p, w = p[order], w[order]
@@ -154,6 +155,15 @@ def _parse_order(sent: DataFrame, buckets: int) -> DataFrame:
     return sent.repartition(buckets, "bucket").groupBy("bucket").applyInArrow(meet, "block int, keys binary, may binary")
 
 
+def _narrow(whole: np.ndarray) -> bytes:
+    return whole.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :WHOLE_BYTES].tobytes()
+
+
+def _widen(sent: bytes) -> np.ndarray:
+    got = np.frombuffer(sent, np.uint8).reshape(-1, WHOLE_BYTES)
+    return np.pad(got, ((0, 0), (0, 8 - WHOLE_BYTES))).view("<u8").ravel()
+
+
 def _send_names(block: int, parse: np.ndarray, whole: np.ndarray, buckets: int) -> pa.Table:
     """Distinct name pairs, twice where a block holds a pair more than once."""
     order = np.lexsort((whole, parse))
@@ -163,7 +173,7 @@ def _send_names(block: int, parse: np.ndarray, whole: np.ndarray, buckets: int)
     parse, whole = parse[~third], whole[~third]
     cuts = K.bucket_cuts(parse, buckets)
     full = [b for b in range(buckets) if cuts[b + 1] > cuts[b]]
-    return pa.table({"bucket": pa.array(full, pa.int32()), "block": pa.array([block] * len(full), pa.int32()), "keys": pa.array([K.pack_sorted(parse[cuts[b] : cuts[b + 1]]) for b in full], pa.binary()), "whole": pa.array([whole[cuts[b] : cuts[b + 1]].astype("<u8").tobytes() for b in full], pa.binary())})
+    return pa.table({"bucket": pa.array(full, pa.int32()), "block": pa.array([block] * len(full), pa.int32()), "keys": pa.array([K.pack_sorted(parse[cuts[b] : cuts[b + 1]]) for b in full], pa.binary()), "whole": pa.array([_narrow(whole[cuts[b] : cuts[b + 1]]) for b in full], pa.binary())})
 
 
 def remove_repeated_bytes(docs: DataFrame, width: int = 200) -> DataFrame:
