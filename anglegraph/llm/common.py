@@ -80,14 +80,14 @@ def row_ranges(offsets, limit: int):
         start = end
 
 
-def pack_blocks(docs: DataFrame, blocks: int) -> DataFrame:
+def pack_blocks(docs: DataFrame, blocks: int, level: int = 3) -> DataFrame:
     """Documents as zstd fragments (block, part), dealt by block; rows keep every field given."""
     keyed = docs.withColumn("_block", F.pmod(F.xxhash64(*docs.columns[:2]), F.lit(blocks)).cast("int"))
 
     def pack(batches):
         import zstandard
 
-        squeeze = zstandard.ZstdCompressor(level=3)
+        squeeze = zstandard.ZstdCompressor(level=level)
         held, size = [], 0
 
         def flush():

@@ -40,6 +40,7 @@ RARITY = 24  # one in so many places is a trigger
 REACH = 136  # a window's first trigger counts if it starts within so many bytes
 STEP = 1 << 21  # bytes named at a time
 WHOLE_BYTES = 6  # of a whole name that are sent: it is compared under one 64-bit parse name only
+LEVEL = 7  # zstd; texts cross the shuffle twice
 
 
 def triggers(buf: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -183,7 +184,7 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 200) -> DataFrame:
     docs = docs.select("doc_id", "text")
     blocks = n_blocks(docs)
     buckets = max(1, -(-2 * plan_bytes(docs) // (16 * KEYS_A_BUCKET)))
-    parts = pack_blocks(docs, blocks)
+    parts = pack_blocks(docs, blocks, LEVEL)
 
     def emit(key: tuple[pa.Scalar, ...], rows: pa.Table) -> pa.Table:
         p = Parse(*K.text_buffer(unpack(rows).column("text")), width)
@@ -232,7 +233,7 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 200) -> DataFrame:
                 w.write_table(held)
             import zstandard
 
-            blob = zstandard.compress(len(ids.getvalue()).to_bytes(8, "little") + ids.getvalue() + sink.getvalue(), 3)
+            blob = zstandard.compress(len(ids.getvalue()).to_bytes(8, "little") + ids.getvalue() + sink.getvalue(), LEVEL)
             out.append(_rows(fields, {"kind": 2}, {"block": pa.array([block], pa.int32()), "keys": pa.array([blob], pa.binary())}))
         return pa.concat_tables(out)
 
