@@ -206,8 +206,9 @@ def walk(x, graph, query, entries, size: int, k: int, trace: list | None = None)
         seen.update(fresh)
         nd = sq_to(query, x[fresh])
         n_dist += len(fresh)
+        worst = pool[-1] if len(pool) >= size else (math.inf, 0)
         for v, q in zip(nd.tolist(), fresh):
-            if len(pool) < size or (v, q) < pool[-1]:
+            if (v, q) < worst:
                 depth[q], parent[q] = depth[p] + 1, p
                 pool.append((v, q))
                 heapq.heappush(todo, (v, q))
