@@ -18,7 +18,8 @@ toxic if one says so; null labels say nothing.
 
 Defined results: null or empty text: the score of a ratio of 0; repeated rows score alike; null ids
 are held out of training; no rows: no rows; without labels of both classes every score is below 0.5
-and nothing is rejected.
+and nothing is rejected, and so where the curve's texts, being few, would make the score fall as the
+ratio rises: all scores are then the base rate, below 0.5.
 """
 
 from __future__ import annotations
@@ -200,6 +201,8 @@ def _fit_curve(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
         b += step
         if abs(step).max() < 1e-9:
             break
+    if b[1] <= 0:  # a few texts can make it fall; a higher ratio never means a lower score
+        return min(-1e-9, float(np.log(y.mean() / (1 - y.mean())))), 0.0
     return float(b[0]), float(b[1] / scale)
 
 

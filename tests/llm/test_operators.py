@@ -139,6 +139,12 @@ def test_op6(spark):
     assert toxicity.score_toxicity(d, labels.where("toxic = 0")).where("predicted = 1").count() == 0
 
 
+def test_curve_never_falls():
+    x, y = np.array([-0.4, -0.3, 0.1, 0.2, 0.3]), np.array([1.0, 0.0, 0.0, 0.0, 0.0])
+    a, b = toxicity._fit_curve(x, y)
+    assert b == 0 and a < 0 and toxicity._fit_curve(x, 1 - y)[1] > 0 and toxicity._fit_curve(x, np.array([1.0, 1.0, 1.0, 0.0, 0.0])) == (-1e-9, 0.0)
+
+
 def test_op7(docs, spark):
     got = rows(line_dedup.line_decisions(docs))
     assert len(got) == len(texts()) and got[19][:2] == (4, 2)
