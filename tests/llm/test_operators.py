@@ -8,6 +8,7 @@ import re
 import numpy as np
 import public_tokenizers as P
 import pytest
+from pyspark.sql import functions as F
 
 from anglegraph.llm import byte_bpe, components, decontaminate, jaccard_join, licenses, line_dedup, quality, substring_dedup, suffix_dedup, token_counts, toxicity
 
@@ -154,6 +155,54 @@ def test_op7(docs, spark):
     assert 7 not in kept or kept[7] == texts()[7]
 
 
+def words(r, n):
+    return ["".join(r.choice("abcdefghijklmnop") for _ in range(r.randint(2, 9))) for _ in range(n)]
+
+
+def line_groups(spark, lines):
+    """The connected groups of edit similarity 0.9, from all pairs."""
+    d = spark.createDataFrame(list(enumerate(lines)), "i int, x string")
+    close = d.alias("a").join(d.alias("b"), F.expr("a.i < b.i and 9 * greatest(length(a.x), length(b.x)) <= 10 * least(length(a.x), length(b.x))"))
+    root = list(range(len(lines)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a, b in close.where("10 * levenshtein(a.x, b.x) <= greatest(length(a.x), length(b.x))").select("a.i", "b.i").collect():
+        a, b = find(a), find(b)
+        root[max(a, b)] = min(a, b)
+    return {i for i in range(len(lines)) if find(i) == i}
+
+
+def kept_lines(spark, lines):
+    d = spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string").repartition(3)
+    return {r["doc_id"] for r in line_dedup.line_decisions(d).collect() if not r["n_removed"]}
+
+
+def test_op7_finds_the_similar_lines_of_all_pairs(spark):
+    r = random.Random(11)
+    lines = []
+    for n in (2, 3, 5, 8, 12, 20, 20, 35, 50, 50, 90):  # words replaced: about 5 of 100 characters
+        base = words(r, n)
+        lines.append(" ".join(base))
+        for _ in range(6):
+            near = list(base)
+            for _ in range(max(1, n // 20)):
+                near[r.randrange(n)] = words(r, 1)[0]
+            lines.append(" ".join(near))
+    for n in [*range(9, 56)] * 2:  # short lines: any edits up to one in ten characters
+        base = "".join(r.choice("abcd ") for _ in range(n)).split()
+        near = list(" ".join(base))
+        for _ in range(n // 10):
+            at = r.randrange(1, len(near) - 1)
+            near[at : at + r.randint(0, 1)] = r.choice(["", "z"])
+        lines += [" ".join(base), " ".join("".join(near).split())]
+    lines += ["漢字仮名交文字列" * 9 + "甲乙丙丁", "漢字仮名交文字列" * 9 + "甲乙戊丁", "x" * 700, "x" * 690]
+    assert kept_lines(spark, lines) == line_groups(spark, lines)
+
+
 def test_op8(docs):
     sets = {}
     for k, t in raw().items():
