@@ -203,6 +203,15 @@ def test_op7_finds_the_similar_lines_of_all_pairs(spark):
     assert kept_lines(spark, lines) == line_groups(spark, lines)
 
 
+def test_op7_loses_no_link_of_a_large_block(spark, monkeypatch):
+    monkeypatch.setattr(line_dedup, "FEW", 4)
+    r = random.Random(12)
+    base, other = words(r, 60), words(r, 60)
+    chain = [" ".join([*other[:i], *base[i:]]) for i in range(31)]  # each is similar to a few before and after it only
+    star = [" ".join([*base[:40], *base[41 + i : 45 + i], *words(r, 6), *base[40:]]) for i in range(12)]
+    assert kept_lines(spark, chain + star) == line_groups(spark, chain + star)
+
+
 def test_op8(docs):
     sets = {}
     for k, t in raw().items():
