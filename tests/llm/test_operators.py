@@ -212,6 +212,13 @@ def test_op7_loses_no_link_of_a_large_block(spark, monkeypatch):
     assert kept_lines(spark, chain + star) == line_groups(spark, chain + star)
 
 
+def test_op7_compares_long_lines_within_the_bound(spark):
+    r = random.Random(13)
+    opened, passage = words(r, 1300), words(r, 1600)
+    lines = [" ".join(opened), " ".join([*words(r, 12), *opened]), " ".join(passage), " ".join([*passage[:300], *words(r, 60), *passage[360:]])]
+    assert kept_lines(spark, lines) == {0, 2} == line_groups(spark, lines)
+
+
 def test_op8(docs):
     sets = {}
     for k, t in raw().items():
