@@ -8,7 +8,9 @@ to the class's continuation counts of five and of four, and these to three-byte
 classes share, taken over all documents.
 
 The models are fitted on at most FIT_ROWS labelled rows of a class (the first by a hash of the id),
-the curve on at most CURVE_ROWS of another fold; these bounds are parameters. So the expressions of
+the curve on at most CURVE_ROWS of another fold, where each row weighs as many labelled rows of its
+class as it stands for, so that a score does not depend on which class the bound cuts; these bounds
+are parameters. So the expressions of
 the models are bounded by that sample, and so is their broadcast. The shared counts are gathered
 from every document. Six-byte expressions seen once are left to the backoff.
 
@@ -74,16 +76,17 @@ def _grams(out: np.ndarray, begin: np.ndarray, n: np.ndarray):
 
 
 def _sample(docs: DataFrame, labels: DataFrame, fit_rows: int, curve_rows: int) -> DataFrame:
-    """(toxic, curve, text) of a bounded sample of labelled rows outside the held-out fold."""
+    """(toxic, curve, text, weight) of a bounded sample of labelled rows outside the held-out fold; a weight is a class's rows over those taken."""
     labs = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & (fold("doc_id") != 0))
     labs = labs.groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
+    sizes = {tuple(r)[:2]: r["count"] for r in labs.groupBy("toxic", (fold("doc_id") == 1).alias("curve")).count().collect()}
     pick = None
     for toxic in (0, 1):
         for curve, n in ((True, curve_rows), (False, fit_rows)):
             some = labs.where((F.col("toxic") == toxic) & ((fold("doc_id") == 1) == curve))
-            some = some.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n).select("doc_id", "toxic", F.lit(curve).alias("curve"))
+            some = some.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n).select("doc_id", "toxic", F.lit(curve).alias("curve"), F.lit(max(1.0, sizes.get((toxic, curve), 0) / max(1, n))).alias("weight"))
             pick = some if pick is None else pick.unionAll(some)
-    return docs.select("doc_id", "text").join(F.broadcast(pick), "doc_id").select("toxic", "curve", "text")
+    return docs.select("doc_id", "text").join(F.broadcast(pick), "doc_id").select("toxic", "curve", "text", "weight")
 
 
 def _expressions(sample: DataFrame) -> DataFrame:
@@ -186,23 +189,25 @@ def _discount(n1: float, n2: float) -> float:
     return n1 / (n1 + 2 * n2) if n1 else 0.5
 
 
-def _fit_curve(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
-    """Logistic regression on one input by Newton steps."""
+def _fit_curve(x: np.ndarray, y: np.ndarray, weight: np.ndarray | None = None) -> tuple[float, float]:
+    """Logistic regression on one input by Newton steps, of rows with weights."""
+    w = np.ones(len(x)) if weight is None else weight
     if not 0 < y.sum() < len(y):
         return -1e-9, 0.0
-    scale = max(1e-9, float(x.std()))
+    scale = max(1e-9, float(np.sqrt(np.average((x - np.average(x, weights=w)) ** 2, weights=w))))
     z = np.stack([np.ones(len(x)), x / scale], axis=1)
     b = np.zeros(2)
     for _ in range(50):
         p = 1 / (1 + np.exp(-np.clip(z @ b, -30, 30)))
-        grad = z.T @ (y - p) - 1e-3 * b
-        hess = (z * (p * (1 - p))[:, None]).T @ z + 1e-3 * np.eye(2)
+        grad = z.T @ (w * (y - p)) - 1e-3 * b
+        hess = (z * (w * p * (1 - p))[:, None]).T @ z + 1e-3 * np.eye(2)
         step = np.linalg.solve(hess, grad)
         b += step
         if abs(step).max() < 1e-9:
             break
     if b[1] <= 0:  # a few texts can make it fall; a higher ratio never means a lower score
-        return min(-1e-9, float(np.log(y.mean() / (1 - y.mean())))), 0.0
+        mean = np.average(y, weights=w)
+        return min(-1e-9, float(np.log(mean / (1 - mean)))), 0.0
     return float(b[0]), float(b[1] / scale)
 
 
@@ -244,10 +249,10 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, curve_rows
         for batch in batches:
             for a, b in row_ranges(K.text_buffer(batch.column(1))[1], CHUNK):
                 part = batch.slice(a, b - a)
-                yield pa.RecordBatch.from_arrays([pa.array(held.value.ratios(part.column(1), pw)), part.column(0)], names=["x", "y"])
+                yield pa.RecordBatch.from_arrays([pa.array(held.value.ratios(part.column(1), pw)), part.column(0), part.column(2)], names=["x", "y", "w"])
 
-    seen = sample.where("curve").select("toxic", "text").mapInArrow(ratios, "x double, y int").toPandas()
-    model.curve = _fit_curve(seen["x"].to_numpy(float), seen["y"].to_numpy(float))
+    seen = sample.where("curve").select("toxic", "text", "weight").mapInArrow(ratios, "x double, y int, w double").toPandas()
+    model.curve = _fit_curve(seen["x"].to_numpy(float), seen["y"].to_numpy(float), seen["w"].to_numpy(float))
     return model
 
 

@@ -146,6 +146,15 @@ def test_curve_never_falls():
     assert b == 0 and a < 0 and toxicity._fit_curve(x, 1 - y)[1] > 0 and toxicity._fit_curve(x, np.array([1.0, 1.0, 1.0, 0.0, 0.0])) == (-1e-9, 0.0)
 
 
+def test_toxicity_keeps_the_base_rate_when_one_class_is_cut(spark):
+    r = random.Random(21)
+    texts = [" ".join(words(r, 30)) for _ in range(3000)]  # labels that say nothing: every score is near the share of toxic rows
+    d = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    labels = spark.createDataFrame([(i, int(i % 9 == 0)) for i in range(3000)], "doc_id long, toxic int")
+    held = [s["score"] for s in toxicity.score_toxicity(d, labels, curve_rows=60).collect() if s["held_out"]]
+    assert abs(np.mean(held) - 1 / 9) < 0.05
+
+
 def test_op7(docs, spark):
     got = rows(line_dedup.line_decisions(docs))
     assert len(got) == len(texts()) and got[19][:2] == (4, 2)
