@@ -129,11 +129,28 @@ def angle_prune(cands: DataFrame, vectors: DataFrame, alpha, max_degree: int | N
 
 
 def reverse_refine(edges: DataFrame, vectors: DataFrame, alpha, r: int) -> DataFrame:
-    """Out- and in-neighbours of each node pruned together; of a hub's incoming edges the nearest 8 r go in."""
+    """Out- and in-neighbours of each node pruned together.
+
+    Candidates go in by distance, 8 r a round, beside those kept so far, until r are kept or the list
+    ends: the edges of one greedy pass, while no task holds more than 9 r candidates of a hub.
+    """
+    from ..plans.lineage import cut
+
     w = Window.partitionBy("src").orderBy("dist", "cand")
     back = edges.select(F.col("dst").alias("src"), F.col("src").alias("cand"), "dist")
-    back = back.withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= 8 * r).select("src", "cand")
-    return angle_prune(edges.select("src", F.col("dst").alias("cand")).unionAll(back).distinct(), vectors, alpha, r)
+    both = edges.select("src", F.col("dst").alias("cand"), "dist").unionAll(back).groupBy("src", "cand").agg(F.min("dist").alias("dist"))
+    both = cut(both.withColumn("part", F.floor((F.row_number().over(w) - 1) / (8 * r))).select("src", "cand", "part"))
+    kept = cut(angle_prune(both.where("part = 0").select("src", "cand"), vectors, alpha, r))
+    for part in range(1, (both.agg(F.max("part")).first()[0] or 0) + 1):
+        full = kept.groupBy("src").agg(F.count("*").alias("c")).where(F.col("c") >= r)
+        more = cut(both.where(F.col("part") == part).join(full, "src", "left_anti").select("src", "cand"))
+        if more.isEmpty():
+            break
+        hubs = more.select("src").distinct()
+        so_far = kept.join(hubs, "src", "left_semi").select("src", F.col("dst").alias("cand"))
+        again = angle_prune(so_far.unionAll(more), vectors, alpha, r)
+        kept = cut(kept.join(hubs, "src", "left_anti").unionAll(again))
+    return kept
 
 
 def reach(edges: DataFrame, roots: DataFrame, max_rounds: int = 200) -> DataFrame:

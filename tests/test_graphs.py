@@ -146,3 +146,11 @@ def test_vector_file_round_trip(spark, tmp_path):
     write_vecfile(str(tmp_path / "v.fvecs"), x)
     got = read_vecfile(spark, str(tmp_path / "v.fvecs")).orderBy("id").collect()
     assert np.array_equal(np.array([r["vec"] for r in got], "f4"), x)
+
+
+def test_reverse_step_takes_a_far_free_edge_of_a_hub(spark):
+    points = [(0, [0.0, 0.0]), *((i, [float(i), 0.0]) for i in range(1, 41)), (99, [-60.0, 0.0])]
+    v = spark.createDataFrame(points, "id long, vec array<double>")
+    edges = spark.createDataFrame([(i, 0, abs(x[0])) for i, x in points if i], "src long, dst long, dist double")
+    got = N.reverse_refine(edges, v, 60.0, 2)
+    assert [r["dst"] for r in got.where("src = 0").orderBy("rank").collect()] == [1, 99]
