@@ -160,8 +160,9 @@ def w10_sharded(vectors: DataFrame, n_shards: int = 16, k: int = 100) -> DataFra
     truth = N.exact_knn(base, q, k)
     out = []
     for method in ("nag", "nav_mrng", "ivf_pq"):
-        ix = I.build_index(base, method, n_shards)
-        out.append(_labelled(measured(ix, q, truth, k, 8 if method == "ivf_pq" else 120), method=method, layout="random", probes=n_shards))
+        for layout, shards in (("one", 1), ("random", n_shards)):
+            ix = I.build_index(base, method, shards)
+            out.append(_labelled(measured(ix, q, truth, k, 8 if method == "ivf_pq" else 120), method=method, layout=layout, probes=shards))
     near = I.build_index(base, "nag", n_shards, routing="kmeans")
     out.append(_labelled(measured(near, q, truth, k, 120, n_probe=max(1, n_shards // 4)), method="nag", layout="kmeans", probes=max(1, n_shards // 4)))
     return _union(out)

@@ -154,3 +154,10 @@ def test_reverse_step_takes_a_far_free_edge_of_a_hub(spark):
     edges = spark.createDataFrame([(i, 0, abs(x[0])) for i, x in points if i], "src long, dst long, dist double")
     got = N.reverse_refine(edges, v, 60.0, 2)
     assert [r["dst"] for r in got.where("src = 0").orderBy("rank").collect()] == [1, 99]
+
+
+def test_sharded_search_is_set_against_one_graph(spark):
+    r = np.random.default_rng(8)
+    v = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(r.random((300, 4)))], "id long, vec array<double>")
+    rows = {(x["method"], x["layout"], x["probes"]) for x in X.w10_sharded(v, n_shards=3, k=5).collect()}
+    assert rows == {*((m, *p) for m in ("nag", "nav_mrng", "ivf_pq") for p in (("one", 1), ("random", 3))), ("nag", "kmeans", 1)}
