@@ -6,7 +6,8 @@ keyword, a label and a priority. Every match is an interval; a match that lies i
 of higher priority (or of equal priority and greater length) is suppressed. The labels are those
 of the four base phrases and of the matches left.
 
-Rules are made from FAMILIES and FORMS, hundreds in all.
+Rules are the hand-written PASSAGES and, for each name of FAMILIES, the FORMS that it is used in,
+its bare name included; hundreds in all.
 
 Defined results: null, empty or wordless text: 0 words, no labels, score 0; repeated rows give
 repeated results; null ids are kept; no rows: no rows. Other columns are ignored.
@@ -72,7 +73,10 @@ FORMS = (
     (50, "{n} v(ersion)? ?{v}( 0)?( or( any)? later( version)?)?"),
     (45, "{n} {v}( 0)?"),
     (30, "{n} as published by the free software foundation"),
+    (25, "{n}"),
 )
+# Names that are common words too and say no licence alone.
+NOT_ALONE = ("apache",)
 
 # Passages that say a licence without its name: priority, label, keyword, pattern.
 PASSAGES = (
@@ -81,6 +85,40 @@ PASSAGES = (
     (80, "bsd", "redistribution and use", "redistribution and use in source and binary forms with or without modification are permitted"),
     (40, "public-domain", "public domain", "(placed|released|dedicated) (in|into|to) the public domain"),
     (20, "proprietary", "all rights reserved", "all rights reserved"),
+    (80, "gpl", "is free software", "(this program|this file|this library|it) is free software you can redistribute it and or modify it under the terms of the gnu general public license"),
+    (80, "lgpl", "is free software", "(this program|this file|this library|it) is free software you can redistribute it and or modify it under the terms of the gnu (lesser|library) general public license"),
+    (80, "agpl", "is free software", "(this program|this file|this library|it) is free software you can redistribute it and or modify it under the terms of the gnu affero general public license"),
+    (75, "gpl", "received a copy of the gnu general public", "you should have received a copy of the gnu general public license along with this (program|file|software|library)"),
+    (75, "lgpl", "received a copy of the gnu lesser general public", "you should have received a copy of the gnu lesser general public license along with this (program|file|software|library)"),
+    (75, "agpl", "received a copy of the gnu affero general public", "you should have received a copy of the gnu affero general public license along with this (program|file|software|library)"),
+    (75, "gfdl", "permission is granted to copy distribute", "permission is granted to copy distribute and or modify this document under the terms of the gnu free documentation license"),
+    (80, "apache", "you may not use this file except", "you may not use this file except in compliance with the license"),
+    (65, "apache", "distributed on an as is basis", "distributed on an as is basis without warranties or conditions of any kind"),
+    (75, "mit", "the above copyright notice and this permission notice", "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software"),
+    (75, "bsd", "neither the name", "neither the names? of .{1,80} nor the names of its contributors may be used to endorse or promote products"),
+    (70, "bsd", "redistributions of source code", "redistributions of source code must retain the above copyright notice"),
+    (70, "bsd", "redistributions in binary form", "redistributions in binary form must reproduce the above copyright notice"),
+    (80, "mpl", "source code form is subject", "this source code form is subject to the terms of the mozilla public license"),
+    (75, "epl", "accompanying materials are made available", "accompanying materials are made available under the terms of the eclipse public license"),
+    (80, "zlib", "as is without any express or implied", "this software is provided as is without any express or implied warranty in no event will the authors be held liable"),
+    (75, "zlib", "must not be misrepresented", "the origin of this software must not be misrepresented"),
+    (80, "boost", "permission is hereby granted free of charge", "permission is hereby granted free of charge to any person or organization obtaining a copy of the software and accompanying documentation"),
+    (80, "unlicense", "unencumbered software", "this is free and unencumbered software released into the public domain"),
+    (80, "wtfpl", "you just do what", "you just do what the fuck you want to"),
+    (70, "cc0", "waived all copyright", "waived all copyright and related or neighboring rights"),
+    (60, "cc-by", "creativecommons org licenses by", "creativecommons org licenses by [1-4]( 0)?"),
+    (60, "cc-by-sa", "creativecommons org licenses by sa", "creativecommons org licenses by sa [1-4]( 0)?"),
+    (60, "cc-by-nc", "creativecommons org licenses by nc", "creativecommons org licenses by nc [1-4]( 0)?"),
+    (60, "cc-by-nd", "creativecommons org licenses by nd", "creativecommons org licenses by nd [1-4]( 0)?"),
+    (60, "cc0", "creativecommons org publicdomain zero", "creativecommons org publicdomain zero 1( 0)?"),
+    (55, "apache", "apache org licenses", "(www )?apache org licenses (license 2 0|license 2|1 1)"),
+    (55, "gpl", "gnu org licenses", "(www )?gnu org licenses (old licenses )?gpl( [23] 0)?"),
+    (55, "lgpl", "gnu org licenses", "(www )?gnu org licenses (old licenses )?lgpl( [23] [01])?"),
+    (55, "agpl", "gnu org licenses", "(www )?gnu org licenses agpl( 3 0)?"),
+    (55, "mit", "opensource org licenses mit", "opensource org licenses mit( license)?"),
+    (35, "proprietary", "confidential and proprietary", "(is|are|contains) confidential and proprietary( information)?"),
+    (35, "proprietary", "unauthorized copying", "unauthorized copying of this (file|software|document)( via any medium)? is strictly prohibited"),
+    (35, "public-domain", "no copyright", "(there is )?no copyright (is claimed|applies)"),
 )
 SCORED = 90.0
 SEPARATORS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -91,8 +129,9 @@ def rules() -> list[tuple[int, str, str, str]]:
     out = list(PASSAGES)
     for label, keyword, names, versions in FAMILIES:
         for priority, form in FORMS:
+            used = names if form != "{n}" else "|".join(n for n in names.split("|") if n not in NOT_ALONE)
             for v in versions.split() if "{v}" in form else [""]:
-                out.append((priority, label, keyword, form.replace("{n}", f"({names})").replace("{v}", v)))
+                out.append((priority, label, keyword, form.replace("{n}", f"({used})").replace("{v}", v)))
     return sorted(out, key=lambda r: (-r[0], r[1], r[3]))
 
 
@@ -111,13 +150,13 @@ def _places(words: Column, phrase: str) -> Column:
 
 
 def _spans(text: Column, rule: Column) -> Column:
-    """The intervals of a rule's matches, in order."""
-    found = F.regexp_extract_all(text, F.concat(F.lit("(?<= )"), rule["pattern"], F.lit("(?= )")), F.lit(0))
+    """The intervals of a rule's matches, in order: each match is the next place where its words stand by themselves."""
+    found = F.regexp_extract_all(text, F.concat(F.lit("(?<= )("), rule["pattern"], F.lit(")(?= )")), F.lit(0))
     empty = F.expr("cast(array() as array<struct<s:int,e:int>>)")
     start = F.struct(F.lit(1).alias("at"), empty.alias("spans"))
 
     def step(acc, m):
-        s = F.call_function("locate", m, text, acc["at"])
+        s = F.call_function("locate", F.concat(F.lit(" "), m, F.lit(" ")), text, acc["at"]) + 1
         return F.struct((s + F.length(m)).alias("at"), F.concat(acc["spans"], F.array(F.struct(s.alias("s"), (s + F.length(m)).alias("e")))).alias("spans"))
 
     return F.aggregate(found, start, step, lambda acc: acc["spans"])
@@ -126,8 +165,8 @@ def _spans(text: Column, rule: Column) -> Column:
 def scan_licenses(docs: DataFrame) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score for each row of (doc_id, text)."""
     table = rules()
-    keywords = sorted({r[2] for r in table} | {p for p, _ in BASE})
-    lit_rules = F.array(*[F.struct(F.lit(p).alias("priority"), F.lit(lab).alias("label"), F.lit(k).alias("keyword"), F.lit(x).alias("pattern")) for p, lab, k, x in table])
+    keywords = sorted({f" {r[2]} " for r in table} | {f" {p} " for p, _ in BASE})
+    lit_rules = F.array(*[F.struct(F.lit(p).alias("priority"), F.lit(lab).alias("label"), F.lit(f" {k} ").alias("keyword"), F.lit(x).alias("pattern")) for p, lab, k, x in table])
     norm = F.trim(F.regexp_replace(ascii_lower(F.coalesce("text", F.lit(""))), SEPARATORS, " "))
     d = docs.select("doc_id", F.concat(F.lit(" "), norm, F.lit(" ")).alias("_t"))
     gate = F.lit(False)

@@ -118,6 +118,27 @@ def test_op4(docs):
         assert names <= set(got[k][5].split(",")) and 0 <= got[k][6] <= 1
 
 
+def plain_scan(text):
+    """The labels and score of one text by Python's own regular expressions."""
+    t = " " + " ".join(x.decode() for x in ALNUM.findall(text.encode().translate(LOW))) + " "
+    base = {label for phrase, label in licenses.BASE if f" {phrase} " in t}
+    spans = [(m.start(), m.end(), p, label) for p, label, key, x in licenses.rules() if f" {key} " in t for m in re.finditer(f"(?<= )({x})(?= )", t)]
+    left = [a for a in spans if not any(b[0] <= a[0] and b[1] >= a[1] and (b[2] > a[2] or b[2] == a[2] and b[1] - b[0] > a[1] - a[0]) for b in spans)]
+    score = max([a[2] / licenses.SCORED for a in left] + [0.5 if base else 0.0])
+    return ",".join(sorted(base | {a[3] for a in left})), score
+
+
+def test_op4_labels(spark):
+    r = random.Random(5)
+    told = ["see agpl 3 then gpl 3 now", "lgpl 3 or gpl 3", "agpl 3 license or gpl 3 license", "isc license", "mozilla public license", "bsd style license", "the unlicense", "gnu gpl", "apache tribes", "SPDX-License-Identifier: GPL-2.0-only, gpl 2", "gpl 3 or any later version; gpl 3", "CC BY-SA 4.0 and cc by"]
+    bits = ["gpl", "agpl", "lgpl 2", "gpl 3", "v 3", "version 2 0", "or later", "licensed under the", "gnu general public license", "gnu lesser general public license", "apache license", "apache 2 0", "mit license", "bsd 3", "cc by sa 4 0", "all rights reserved", "x", "the", "spdx license identifier"]
+    told += [" ".join(r.choice(bits) for _ in range(r.randint(1, 14))) for _ in range(150)]
+    d = spark.createDataFrame(list(enumerate(told)), "doc_id long, text string").repartition(4)
+    got = rows(licenses.scan_licenses(d))
+    assert {k: got[k][5:] for k in got} == {i: plain_scan(t) for i, t in enumerate(told)}
+    assert [got[i][5] for i in range(9)] == ["agpl,gpl", "gpl,lgpl", "agpl,gpl", "isc", "mpl", "bsd", "unlicense", "gpl", ""]
+
+
 def test_op5(docs):
     from tokenizers import Tokenizer
 
