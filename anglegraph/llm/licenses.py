@@ -95,7 +95,7 @@ PASSAGES = (
     (80, "apache", "you may not use this file except", "you may not use this file except in compliance with the license"),
     (65, "apache", "distributed on an as is basis", "distributed on an as is basis without warranties or conditions of any kind"),
     (75, "mit", "the above copyright notice and this permission notice", "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software"),
-    (75, "bsd", "neither the name", "neither the names? of .{1,80} nor the names of its contributors may be used to endorse or promote products"),
+    (75, "bsd", "neither the name", "neither the name of .{1,80} nor the names of its contributors may be used to endorse or promote products"),
     (70, "bsd", "redistributions of source code", "redistributions of source code must retain the above copyright notice"),
     (70, "bsd", "redistributions in binary form", "redistributions in binary form must reproduce the above copyright notice"),
     (80, "mpl", "source code form is subject", "this source code form is subject to the terms of the mozilla public license"),

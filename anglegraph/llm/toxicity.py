@@ -1,18 +1,23 @@
 """Toxicity from class-conditional Kneser-Ney models.
 
-Two models of the bytes of words, of toxic and of ordinary texts, give each document a
-length-normalised log likelihood ratio; a logistic curve fitted on texts that the models have not
-seen turns it into a score. A byte is predicted from the five before it in its word, so stems and
-endings count, not only whole words. Rare expressions are smoothed step by step: six bytes back off
-to the class's continuation counts of five and of four, and these to three-byte counts that both
-classes share, taken over all documents.
+Two pairs of models, of toxic and of ordinary texts, each give a document a length-normalised log
+likelihood ratio; a logistic curve of the two, fitted on texts that the models have not seen, gives the score.
+
+* Words and pairs of words: a pair backs off to the class's continuation counts of its second word, and
+  these to the counts of all words of all documents, which both classes share. That table is gathered
+  from every document and grows with the corpus; it stays distributed. Where a word is in no labelled
+  text, its shared probability is in both likelihoods and cancels, so only the rows of words that the
+  labelled sample holds are joined out of it and sent along.
+* Bytes of words: a byte is predicted from the five before it in its word, so stems and endings count,
+  not only whole words. Six bytes back off to the class's continuation counts of five and of four, and
+  these to three-byte counts that both classes share, taken over all documents.
 
 The models are fitted on at most FIT_ROWS labelled rows of a class (the first by a hash of the id),
 the curve on at most CURVE_ROWS of another fold, where each row weighs as many labelled rows of its
 class as it stands for, so that a score does not depend on which class the bound cuts; these bounds
 are parameters. So the expressions of
-the models are bounded by that sample, and so is their broadcast. The shared counts are gathered
-from every document. Six-byte expressions seen once are left to the backoff.
+the models are bounded by that sample, and so is their broadcast. Six-byte expressions and pairs of
+words seen once are left to the backoff.
 
 Only labels train: rows whose crc32(id) mod 5 is 0 are held out, fold 1 fits the curve, the others
 the models. Source, language and ids are no inputs of a score. A document with several labels is
@@ -32,7 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import row_ranges
+from .common import row_ranges, written
 
 FIT_ROWS = 10_000
 CURVE_ROWS = 4_000
@@ -46,12 +51,12 @@ def fold(column) -> F.Column:
 
 
 def _words(texts, pw: K.Powers):
-    """Distinct words as one padded buffer, the place of each text word among them, and its row."""
+    """Distinct words as one padded buffer, the place of each text word among them, its row, and the prints of the words."""
     buf, offsets = K.text_buffer(texts)
     low = K.LOWER[buf]
     starts, ends, rows = K.word_spans(low, offsets, K.ALNUM_WORD)
     prints = K.word_prints(low, starts, ends, pw)
-    _, first, place = np.unique(prints, return_index=True, return_inverse=True)
+    known, first, place = np.unique(prints, return_index=True, return_inverse=True)
     a, n = starts[first], (ends - starts)[first]
     # five bytes before each word (four zeros and a space), one space after it
     begin = np.concatenate([[0], np.cumsum(n + ORDER)])
@@ -61,7 +66,7 @@ def _words(texts, pw: K.Powers):
     source = np.repeat(a - (np.cumsum(n) - n), n) + np.arange(n.sum())
     out[inner] = low[source]
     out[begin[1:] - 1] = 0x20
-    return out, begin, n + 1, place, rows, len(offsets) - 1
+    return out, begin, n + 1, place, rows, len(offsets) - 1, known
 
 
 def _grams(out: np.ndarray, begin: np.ndarray, n: np.ndarray):
@@ -98,7 +103,7 @@ def _expressions(sample: DataFrame) -> DataFrame:
             toxic = batch.column(0).to_numpy(zero_copy_only=False)
             _, offsets = K.text_buffer(batch.column(2))
             for a, b in row_ranges(offsets, CHUNK):
-                out, begin, n, place, rows, _ = _words(batch.column(2).slice(a, b - a), pw)
+                out, begin, n, place, rows, *_ = _words(batch.column(2).slice(a, b - a), pw)
                 grams, word = _grams(out, begin, n)
                 keys, at = np.unique(grams, return_inverse=True)
                 cols = []
@@ -119,7 +124,7 @@ def _shared_counts(docs: DataFrame) -> DataFrame:
         for batch in batches:
             _, offsets = K.text_buffer(batch.column(0))
             for a, b in row_ranges(offsets, CHUNK):
-                out, begin, n, place, _, _ = _words(batch.column(0).slice(a, b - a), pw)
+                out, begin, n, place, *_ = _words(batch.column(0).slice(a, b - a), pw)
                 grams, word = _grams(out, begin, n)
                 keys, at = np.unique(grams >> K.U(8 * (ORDER - SHARED)), return_inverse=True)
                 total = np.bincount(at, np.bincount(place, minlength=len(n))[word], len(keys)).astype(np.int64)
@@ -128,6 +133,102 @@ def _shared_counts(docs: DataFrame) -> DataFrame:
     return docs.select("text").mapInArrow(count, "g long, n long").groupBy("g").agg(F.sum("n").alias("n"))
 
 
+def _pairs(place: np.ndarray, rows: np.ndarray, known: np.ndarray):
+    """The prints of each word and of the word before it in its text (0 for the first, which has no context), and of the pair."""
+    word = known[place]
+    before = np.zeros(len(word), K.U)
+    before[1:] = np.where(rows[1:] == rows[:-1], word[:-1], K.U(0))
+    return before, word, K.mix(before * K.U(K.BASES[0]) + K.mix(word))
+
+
+def _word_pairs(sample: DataFrame) -> DataFrame:
+    """(pair, before, word, c0, c1): counts of each pair of words by class."""
+
+    def count(batches):
+        pw = K.Powers()
+        for batch in batches:
+            toxic = batch.column(0).to_numpy(zero_copy_only=False)
+            _, offsets = K.text_buffer(batch.column(2))
+            for a, b in row_ranges(offsets, CHUNK):
+                *_, place, rows, _, known = _words(batch.column(2).slice(a, b - a), pw)
+                before, word, pair = _pairs(place, rows, known)
+                keys, first, at = np.unique(pair, return_index=True, return_inverse=True)
+                counts = [np.bincount(at[toxic[a:b][rows] == c], minlength=len(keys)).astype(np.int64) for c in (0, 1)]
+                cols = [keys.view(np.int64), before[first].view(np.int64), word[first].view(np.int64), *counts]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["pair", "before", "word", "c0", "c1"])
+
+    found = sample.where(~F.col("curve")).mapInArrow(count, "pair long, before long, word long, c0 long, c1 long")
+    return found.groupBy("pair").agg(F.min("before").alias("before"), F.min("word").alias("word"), F.sum("c0").alias("c0"), F.sum("c1").alias("c1"))
+
+
+def corpus_words(docs: DataFrame) -> DataFrame:
+    """(word, n): how often each word, by its print, occurs in all documents; as many rows as the corpus has words."""
+
+    def count(batches):
+        pw = K.Powers()
+        for batch in batches:
+            _, offsets = K.text_buffer(batch.column(0))
+            for a, b in row_ranges(offsets, CHUNK):
+                *_, place, _, _, known = _words(batch.column(0).slice(a, b - a), pw)
+                yield pa.RecordBatch.from_arrays([pa.array(known.view(np.int64)), pa.array(np.bincount(place, minlength=len(known)).astype(np.int64))], names=["word", "n"])
+
+    return docs.select("text").mapInArrow(count, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
+
+
+class WordModel:
+    """Pairs of words over words over the shared counts, for both classes."""
+
+    def __init__(self, pairs, words, total: int, kinds: int):
+        """pairs: before, pair, c0, c1 of repeated pairs; words: of the sample, with contexts, continuations and shared counts."""
+        self.words = words["word"].to_numpy(np.int64).view(K.U)
+        order = np.argsort(self.words)
+        self.words, words = self.words[order], words.iloc[order]
+        shared = (words["n"].to_numpy(float) + 0.5) / (total + 0.5 * kinds)
+        self.first = np.zeros((len(self.words) + 1, 2))  # the last row: a word of no labelled text, whose shared part cancels
+        for c in (0, 1):
+            n = words[f"k{c}"].to_numpy(float)
+            d = _discount(words.attrs[f"n1_{c}"], words.attrs[f"n2_{c}"])
+            backoff = max(1e-9, d * (n > 0).sum() / max(1.0, n.sum()))
+            self.first[:-1, c] = np.maximum(n - d, 0) / max(1.0, n.sum()) + backoff * shared
+            self.first[-1, c] = backoff / (total + 1)
+        self.pairs = pairs["pair"].to_numpy(np.int64).view(K.U)
+        order = np.argsort(self.pairs)
+        self.pairs, pairs = self.pairs[order], pairs.iloc[order]
+        at = _find(self.words, pairs["before"].to_numpy(np.int64).view(K.U))
+        self.parts = np.zeros((len(self.pairs) + 1, 2))
+        self.backoff = np.ones((len(self.words) + 1, 2))
+        for c in (0, 1):
+            n = pairs[f"c{c}"].to_numpy(float)
+            seen = np.append(words[f"b{c}"].to_numpy(float), 0)
+            self.parts[:-1, c] = np.maximum(n - _discount(pairs.attrs[f"n1_{c}"], pairs.attrs[f"n2_{c}"]), 0) / np.maximum(1.0, seen[at])
+            self.backoff[:, c] = np.maximum(1e-9, 1 - np.bincount(at, self.parts[:-1, c], len(self.words) + 1))
+        self.backoff[-1] = 1.0
+
+    def ratios(self, place, rows, known, n_rows: int) -> np.ndarray:
+        """Log ratio of toxic to ordinary likelihood by text."""
+        mine = _find(self.words, known)
+        _, _, pair = _pairs(place, rows, known)
+        before = np.full(len(place), len(self.words))
+        before[1:] = np.where(rows[1:] == rows[:-1], mine[place[:-1]], len(self.words))
+        p = self.parts[_find(self.pairs, pair)] + self.backoff[before] * self.first[mine[place]]
+        return np.bincount(rows, np.log(p[:, 1]) - np.log(p[:, 0]), n_rows)
+
+
+def _fit_words(docs: DataFrame, sample: DataFrame) -> WordModel:
+    """The counts of pairs and words of the sample, and of its words those of all documents."""
+    pairs = written(_word_pairs(sample), "toxic-pairs")
+    shared = written(corpus_words(docs), "toxic-words")
+    total, kinds = shared.agg(F.sum("n"), F.count("*")).first()
+    after = pairs.groupBy("word").agg(*[F.sum((F.col(f"c{c}") > 0).cast("long")).alias(f"k{c}") for c in (0, 1)])
+    before = pairs.groupBy("before").agg(*[F.sum(f"c{c}").alias(f"b{c}") for c in (0, 1)])
+    words = after.join(before.withColumnRenamed("before", "word"), "word", "left").join(shared, "word", "left").fillna(0).toPandas()
+    kept = pairs.where("c0 + c1 > 1 and before <> 0").select("pair", "before", "c0", "c1").toPandas()
+    one = pairs.agg(*[F.sum((F.col(f"c{c}") == n).cast("long")).alias(f"n{n}_{c}") for c in (0, 1) for n in (1, 2)]).first().asDict()
+    kept.attrs = {k: v or 0 for k, v in one.items()}
+    words.attrs = {f"n{n}_{c}": int((words[f"k{c}"] == n).sum()) for c in (0, 1) for n in (1, 2)}
+    return WordModel(kept, words, total or 0, kinds)
+
+
 def _find(table: np.ndarray, keys: np.ndarray) -> np.ndarray:
     """The place of each key in a sorted table, or its length."""
     if not len(table):
@@ -165,50 +266,55 @@ class Level:
 class Model:
     """The levels from the shared counts up, and the curve."""
 
-    def __init__(self, shared: tuple, levels: list, curve=(-1e-9, 0.0)):
-        self.shared, self.levels, self.curve = shared, levels, curve
+    def __init__(self, shared: tuple, levels: list, words: WordModel | None = None, curve=(-1e-9, 0.0, 0.0)):
+        self.shared, self.levels, self.words, self.curve = shared, levels, words, curve
 
     def ratios(self, texts, pw: K.Powers) -> np.ndarray:
-        """Log ratio of toxic to ordinary likelihood by text, over the number of bytes predicted."""
-        out, begin, n, place, rows, n_rows = _words(texts, pw)
+        """Log ratios of toxic to ordinary likelihood by text, of its bytes and of its words, over the number of bytes predicted."""
+        out, begin, n, place, rows, n_rows, known = _words(texts, pw)
         if not len(n) or not self.levels:
-            return np.zeros(n_rows)
+            return np.zeros((n_rows, 2))
         grams, word = _grams(out, begin, n)
         keys, p = self.shared
         p = p[_find(keys, grams >> K.U(8 * (ORDER - SHARED)))][:, None]
         for level in self.levels:
             p = level.over(grams, p)
         ratio = np.bincount(word, np.log(p[:, 1]) - np.log(p[:, 0]), len(n))
-        return np.bincount(rows, ratio[place], n_rows) / np.maximum(1, np.bincount(rows, n[place], n_rows))
+        both = np.stack([np.bincount(rows, ratio[place], n_rows), self.words.ratios(place, rows, known, n_rows)], axis=1)
+        return both / np.maximum(1, np.bincount(rows, n[place], n_rows))[:, None]
 
     def scores(self, texts, pw: K.Powers) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(self.curve[0] + self.curve[1] * self.ratios(texts, pw), -60, 60)))
+        return 1 / (1 + np.exp(-np.clip(self.curve[0] + self.ratios(texts, pw) @ np.array(self.curve[1:]), -60, 60)))
 
 
 def _discount(n1: float, n2: float) -> float:
     return n1 / (n1 + 2 * n2) if n1 else 0.5
 
 
-def _fit_curve(x: np.ndarray, y: np.ndarray, weight: np.ndarray | None = None) -> tuple[float, float]:
-    """Logistic regression on one input by Newton steps, of rows with weights."""
+def _fit_curve(x: np.ndarray, y: np.ndarray, weight: np.ndarray | None = None) -> tuple:
+    """Logistic regression on one or more inputs by Newton steps, of rows with weights: the base and a slope for each input."""
+    x = x[:, None] if x.ndim == 1 else x
     w = np.ones(len(x)) if weight is None else weight
     if not 0 < y.sum() < len(y):
-        return -1e-9, 0.0
-    scale = max(1e-9, float(np.sqrt(np.average((x - np.average(x, weights=w)) ** 2, weights=w))))
-    z = np.stack([np.ones(len(x)), x / scale], axis=1)
-    b = np.zeros(2)
-    for _ in range(50):
-        p = 1 / (1 + np.exp(-np.clip(z @ b, -30, 30)))
-        grad = z.T @ (w * (y - p)) - 1e-3 * b
-        hess = (z * (w * p * (1 - p))[:, None]).T @ z + 1e-3 * np.eye(2)
-        step = np.linalg.solve(hess, grad)
-        b += step
-        if abs(step).max() < 1e-9:
-            break
-    if b[1] <= 0:  # a few texts can make it fall; a higher ratio never means a lower score
-        mean = np.average(y, weights=w)
-        return min(-1e-9, float(np.log(mean / (1 - mean)))), 0.0
-    return float(b[0]), float(b[1] / scale)
+        return -1e-9, *[0.0] * x.shape[1]
+    spread = np.sqrt(np.average((x - np.average(x, axis=0, weights=w)) ** 2, axis=0, weights=w))
+    scale, used = np.maximum(1e-9, spread), list(range(x.shape[1]))
+    while used:
+        z = np.concatenate([np.ones((len(x), 1)), (x / scale)[:, used]], axis=1)
+        b = np.zeros(z.shape[1])
+        for _ in range(50):
+            p = 1 / (1 + np.exp(-np.clip(z @ b, -30, 30)))
+            step = np.linalg.solve((z * (w * p * (1 - p))[:, None]).T @ z + 1e-3 * np.eye(len(b)), z.T @ (w * (y - p)) - 1e-3 * b)
+            b += step
+            if abs(step).max() < 1e-9:
+                break
+        if b[1:].min() > 0:
+            slopes = np.zeros(x.shape[1])
+            slopes[used] = b[1:] / scale[used]
+            return float(b[0]), *map(float, slopes)
+        used.pop(int(np.argmin(b[1:])))  # a few texts can make it fall; a higher ratio never means a lower score
+    mean = np.average(y, weights=w)
+    return min(-1e-9, float(np.log(mean / (1 - mean)))), *[0.0] * x.shape[1]
 
 
 def _merged(grams: np.ndarray, counts: np.ndarray):
@@ -240,7 +346,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, curve_rows
         k -= 1
         grams, counts = _merged(grams, counts)
         levels.insert(0, Level(k, grams, counts))
-    model = Model((keys, np.concatenate([shared, [1 / 256]]).astype(np.float32)), levels)
+    model = Model((keys, np.concatenate([shared, [1 / 256]]).astype(np.float32)), levels, _fit_words(docs, sample))
 
     held = spark.sparkContext.broadcast(model)
 
@@ -249,35 +355,37 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, curve_rows
         for batch in batches:
             for a, b in row_ranges(K.text_buffer(batch.column(1))[1], CHUNK):
                 part = batch.slice(a, b - a)
-                yield pa.RecordBatch.from_arrays([pa.array(held.value.ratios(part.column(1), pw)), part.column(0), part.column(2)], names=["x", "y", "w"])
+                x = held.value.ratios(part.column(1), pw)
+                yield pa.RecordBatch.from_arrays([pa.array(x[:, 0]), pa.array(x[:, 1]), part.column(0), part.column(2)], names=["x0", "x1", "y", "w"])
 
-    seen = sample.where("curve").select("toxic", "text", "weight").mapInArrow(ratios, "x double, y int, w double").toPandas()
-    model.curve = _fit_curve(seen["x"].to_numpy(float), seen["y"].to_numpy(float), seen["w"].to_numpy(float))
+    seen = sample.where("curve").select("toxic", "text", "weight").mapInArrow(ratios, "x0 double, x1 double, y int, w double").toPandas()
+    model.curve = _fit_curve(seen[["x0", "x1"]].to_numpy(float), seen["y"].to_numpy(float), seen["w"].to_numpy(float))
     return model
 
 
 def _with_scores(docs: DataFrame, model: Model, keep: list[str]) -> DataFrame:
+    """(row, score): the columns named, as a struct, so that no name of theirs can clash."""
     held = docs.sparkSession.sparkContext.broadcast(model)
-    d = docs.select(*keep, F.col("text").alias("_text"))
+    d = docs.select(F.struct(*[F.col(f"`{c}`") for c in keep]).alias("row"), F.col("text"))
 
     def run(batches):
         pw = K.Powers()
         for batch in batches:
-            for a, b in row_ranges(K.text_buffer(batch.column(batch.num_columns - 1))[1], CHUNK):
+            for a, b in row_ranges(K.text_buffer(batch.column(1))[1], CHUNK):
                 part = batch.slice(a, b - a)
-                arrays = [part.column(i) for i in range(part.num_columns - 1)]
-                yield pa.RecordBatch.from_arrays([*arrays, pa.array(held.value.scores(part.column(part.num_columns - 1), pw))], names=[*keep, "_score"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(held.value.scores(part.column(1), pw))], names=["row", "score"])
+
+    from pyspark.sql.types import DoubleType, StructField, StructType
 
-    fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
-    return d.mapInArrow(run, f"{fields}, _score double")
+    return d.mapInArrow(run, StructType([d.schema["row"], StructField("score", DoubleType())]))
 
 
 def score_toxicity(docs: DataFrame, labels: DataFrame, **bounds) -> DataFrame:
     """doc_id, held_out, score, predicted for each row of (doc_id, text)."""
-    scored = _with_scores(docs, fit(docs, labels, **bounds), ["doc_id"])
-    return scored.select("doc_id", F.coalesce(fold("doc_id") == 0, F.lit(True)).alias("held_out"), F.col("_score").alias("score"), (F.col("_score") >= 0.5).cast("int").alias("predicted"))
+    scored = _with_scores(docs, fit(docs, labels, **bounds), ["doc_id"]).select("row.doc_id", "score")
+    return scored.select("doc_id", F.coalesce(fold("doc_id") == 0, F.lit(True)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
 def reject_toxic(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, **bounds) -> DataFrame:
     """The rows, all columns, whose score is below the threshold."""
-    return _with_scores(docs, fit(docs, labels, **bounds), docs.columns).where(F.col("_score") < threshold).select(*docs.columns)
+    return _with_scores(docs, fit(docs, labels, **bounds), docs.columns).where(F.col("score") < threshold).select("row.*")

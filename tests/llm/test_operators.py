@@ -161,9 +161,55 @@ def test_op6(spark):
     assert toxicity.score_toxicity(d, labels.where("toxic = 0")).where("predicted = 1").count() == 0
 
 
+def test_word_model_equals_plain_kneser_ney(spark):
+    r = random.Random(8)
+    some = ["ab", "cd", "ef", "gh", "ij", "kl", "mn"]
+    data = [(i, " ".join(r.choice(some[: 4 + 3 * (i % 2)]) for _ in range(r.randint(1, 12))), i % 2) for i in range(40)]
+    rest = [(100 + i, " ".join(r.choice([*some, "new", "other"]) for _ in range(8))) for i in range(60)]
+    docs = spark.createDataFrame([(i, t) for i, t, _ in data] + rest, "doc_id long, text string").repartition(3)
+    sample = spark.createDataFrame([(y, False, t, 1.0) for _, t, y in data], "toxic int, curve boolean, text string, weight double").repartition(2)
+    model = toxicity._fit_words(docs, sample)
+
+    shared = collections.Counter(w for _, t in [(i, t) for i, t, _ in data] + rest for w in t.split())
+    pairs = [collections.Counter((a, b) for _, t, y in data if y == c for a, b in zip(["", *t.split()], t.split())) for c in (0, 1)]
+
+    def discount(counts):
+        n = collections.Counter(counts)
+        return n[1] / (n[1] + 2 * n[2]) if n[1] else 0.5
+
+    def p(c, a, b):
+        after = {w: sum(1 for x in pairs[c] if x[1] == w) for w in shared}
+        d, whole = discount(after.values()), sum(after.values())
+        backoff = max(1e-9, d * sum(v > 0 for v in after.values()) / whole)
+        known = b in {w for q in pairs for _, w in q}
+        low = max(after.get(b, 0) - d, 0) / whole + backoff * (shared[b] + 0.5) / (sum(shared.values()) + 0.5 * len(shared)) if known else backoff
+        if a == "" or a not in {x for q in pairs for x, _ in q}:
+            return low  # the first word of a text stands without a context
+        d, seen = discount(pairs[c].values()), sum(n for (x, _), n in pairs[c].items() if x == a)
+        part = {x: max(n - d, 0) / max(1, seen) for x, n in pairs[c].items() if x[0] == a and sum(q[x] for q in pairs) > 1}
+        return part.get((a, b), 0) + max(1e-9, 1 - sum(part.values())) * low
+
+    told = ["ab cd ef", "new ab", "kl mn kl mn other cd", "ij"]
+    want = [sum(np.log(p(1, a, b)) - np.log(p(0, a, b)) for a, b in zip(["", *t.split()], t.split())) for t in told]
+    import pyarrow as pa
+
+    *_, place, rows_, n_rows, known = toxicity._words(pa.array(told), toxicity.K.Powers())
+    assert np.allclose(model.ratios(place, rows_, known, n_rows), want)
+
+
+def test_toxicity_keeps_clashing_columns(spark):
+    data = [(i, "vile stuff here" if i % 3 == 0 else "a kind word here", "s", "r", "t") for i in range(120)]
+    d = spark.createDataFrame(data, "doc_id long, text string, _score string, row string, score string")
+    labels = spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(120)], "doc_id long, toxic int")
+    out = toxicity.reject_toxic(d, labels)
+    assert out.columns == d.columns and {tuple(x)[2:] for x in out.collect()} == {("s", "r", "t")} and 0 < out.count() < 120
+
+
 def test_curve_never_falls():
     x, y = np.array([-0.4, -0.3, 0.1, 0.2, 0.3]), np.array([1.0, 0.0, 0.0, 0.0, 0.0])
     a, b = toxicity._fit_curve(x, y)
+    both = toxicity._fit_curve(np.stack([x, -x], axis=1), 1 - y)
+    assert both[1] > 0 and both[2] == 0
     assert b == 0 and a < 0 and toxicity._fit_curve(x, 1 - y)[1] > 0 and toxicity._fit_curve(x, np.array([1.0, 1.0, 1.0, 0.0, 0.0])) == (-1e-9, 0.0)
 
 
