@@ -175,34 +175,35 @@ def corpus_words(docs: DataFrame) -> DataFrame:
     return docs.select("text").mapInArrow(count, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
+def _sorted_columns(df: DataFrame, key: str) -> dict:
+    """The columns of a bounded table as arrays, by ascending key."""
+    table = df.toArrow()
+    cols = {c: table.column(c).to_numpy() for c in table.column_names}
+    cols[key] = cols[key].astype(np.int64).view(K.U)
+    order = np.argsort(cols[key])
+    return {c: v[order] for c, v in cols.items()}
+
+
 class WordModel:
     """Pairs of words over words over the shared counts, for both classes."""
 
-    def __init__(self, pairs, words, total: int, kinds: int):
-        """pairs: before, pair, c0, c1 of repeated pairs; words: of the sample, with contexts, continuations and shared counts."""
-        self.words = words["word"].to_numpy(np.int64).view(K.U)
-        order = np.argsort(self.words)
-        self.words, words = self.words[order], words.iloc[order]
-        shared = (words["n"].to_numpy(float) + 0.5) / (total + 0.5 * kinds)
-        self.first = np.zeros((len(self.words) + 1, 2))  # the last row: a word of no labelled text, whose shared part cancels
-        for c in (0, 1):
-            n = words[f"k{c}"].to_numpy(float)
-            d = _discount(words.attrs[f"n1_{c}"], words.attrs[f"n2_{c}"])
-            backoff = max(1e-9, d * (n > 0).sum() / max(1.0, n.sum()))
-            self.first[:-1, c] = np.maximum(n - d, 0) / max(1.0, n.sum()) + backoff * shared
-            self.first[-1, c] = backoff / (total + 1)
-        self.pairs = pairs["pair"].to_numpy(np.int64).view(K.U)
-        order = np.argsort(self.pairs)
-        self.pairs, pairs = self.pairs[order], pairs.iloc[order]
-        at = _find(self.words, pairs["before"].to_numpy(np.int64).view(K.U))
+    def __init__(self, pairs: dict, words: dict, sums: dict):
+        """pairs: pair, before, c0, c1; words: word, continuations k, contexts b, shared n; sums: over what the sample and the corpus hold."""
+        self.words, self.pairs = words["word"], pairs["pair"]
+        shared = (words["n"].astype(float) + 0.5) / (sums["total"] + 0.5 * sums["kinds"])
+        self.first = np.zeros((len(self.words) + 1, 2))  # the last row: a word left to the backoff, whose shared part cancels
         self.parts = np.zeros((len(self.pairs) + 1, 2))
         self.backoff = np.ones((len(self.words) + 1, 2))
+        at = _find(self.words, pairs["before"].astype(np.int64).view(K.U))
         for c in (0, 1):
-            n = pairs[f"c{c}"].to_numpy(float)
-            seen = np.append(words[f"b{c}"].to_numpy(float), 0)
-            self.parts[:-1, c] = np.maximum(n - _discount(pairs.attrs[f"n1_{c}"], pairs.attrs[f"n2_{c}"]), 0) / np.maximum(1.0, seen[at])
+            d = _discount(sums[f"k1_{c}"], sums[f"k2_{c}"])
+            whole = max(1.0, sums[f"k_{c}"])
+            backoff = max(1e-9, d * sums[f"kinds_{c}"] / whole)
+            self.first[:-1, c] = np.maximum(words[f"k{c}"].astype(float) - d, 0) / whole + backoff * shared
+            self.first[-1, c] = backoff / (sums["total"] + 1)
+            seen = np.append(words[f"b{c}"].astype(float), np.inf)
+            self.parts[:-1, c] = np.maximum(pairs[f"c{c}"] - _discount(sums[f"n1_{c}"], sums[f"n2_{c}"]), 0) / np.maximum(1.0, seen[at])
             self.backoff[:, c] = np.maximum(1e-9, 1 - np.bincount(at, self.parts[:-1, c], len(self.words) + 1))
-        self.backoff[-1] = 1.0
 
     def ratios(self, place, rows, known, n_rows: int) -> np.ndarray:
         """Log ratio of toxic to ordinary likelihood by text."""
@@ -218,15 +219,19 @@ def _fit_words(docs: DataFrame, sample: DataFrame) -> WordModel:
     """The counts of pairs and words of the sample, and of its words those of all documents."""
     pairs = written(_word_pairs(sample), "toxic-pairs")
     shared = written(corpus_words(docs), "toxic-words")
-    total, kinds = shared.agg(F.sum("n"), F.count("*")).first()
+    count = lambda c, n, name: F.sum((F.col(c) == n).cast("long")).alias(name)
+    sums = shared.agg(F.sum("n").alias("total"), F.count("*").alias("kinds")).first().asDict()
     after = pairs.groupBy("word").agg(*[F.sum((F.col(f"c{c}") > 0).cast("long")).alias(f"k{c}") for c in (0, 1)])
-    before = pairs.groupBy("before").agg(*[F.sum(f"c{c}").alias(f"b{c}") for c in (0, 1)])
-    words = after.join(before.withColumnRenamed("before", "word"), "word", "left").join(shared, "word", "left").fillna(0).toPandas()
-    kept = pairs.where("c0 + c1 > 1 and before <> 0").select("pair", "before", "c0", "c1").toPandas()
-    one = pairs.agg(*[F.sum((F.col(f"c{c}") == n).cast("long")).alias(f"n{n}_{c}") for c in (0, 1) for n in (1, 2)]).first().asDict()
-    kept.attrs = {k: v or 0 for k, v in one.items()}
-    words.attrs = {f"n{n}_{c}": int((words[f"k{c}"] == n).sum()) for c in (0, 1) for n in (1, 2)}
-    return WordModel(kept, words, total or 0, kinds)
+    after = written(after, "toxic-after")
+    for c in (0, 1):
+        sums |= pairs.agg(count(f"c{c}", 1, f"n1_{c}"), count(f"c{c}", 2, f"n2_{c}")).first().asDict()
+        sums |= after.agg(count(f"k{c}", 1, f"k1_{c}"), count(f"k{c}", 2, f"k2_{c}"), F.sum(f"k{c}").alias(f"k_{c}"), F.sum((F.col(f"k{c}") > 0).cast("long")).alias(f"kinds_{c}")).first().asDict()
+    # expressions seen once are left to the backoff
+    before = pairs.groupBy(F.col("before").alias("word")).agg(*[F.sum(f"c{c}").alias(f"b{c}") for c in (0, 1)])
+    words = after.where("k0 + k1 > 1").join(before, "word", "left").join(shared, "word", "left").fillna(0)
+    known = words.select(F.col("word").alias("before"))
+    kept = pairs.where("c0 + c1 > 1 and before <> 0").select("pair", "before", "c0", "c1").join(known, "before", "left_semi")
+    return WordModel(_sorted_columns(kept, "pair"), _sorted_columns(words, "word"), {k: v or 0 for k, v in sums.items()})
 
 
 def _find(table: np.ndarray, keys: np.ndarray) -> np.ndarray:
@@ -327,17 +332,13 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, curve_rows
     """Count, smooth and calibrate; what the driver collects is bounded by the sample's expressions."""
     spark = docs.sparkSession
     sample = _sample(docs, labels, fit_rows, curve_rows)
-    seen = _expressions(sample).toPandas()
-    if not len(seen) or not seen["c0"].sum() or not seen["c1"].sum():
+    seen = _sorted_columns(_expressions(sample), "g")
+    if not len(seen["g"]) or not seen["c0"].sum() or not seen["c1"].sum():
         return Model((np.zeros(0, K.U), np.ones(1)), [])
-    grams = seen["g"].to_numpy(np.int64).view(K.U)
-    order = np.argsort(grams)
-    grams, counts = grams[order], seen[["c0", "c1"]].to_numpy(np.int64)[order]
-
-    corpus = _shared_counts(docs).toPandas()
-    keys = corpus["g"].to_numpy(np.int64).view(K.U)
-    order = np.argsort(keys)
-    keys, n = keys[order], corpus["n"].to_numpy(float)[order]
+    grams, counts = seen["g"], np.stack([seen["c0"], seen["c1"]], axis=1)
+
+    corpus = _sorted_columns(_shared_counts(docs), "g")
+    keys, n = corpus["g"], corpus["n"].astype(float)
     _, at = np.unique(keys & K.U((1 << 8 * (SHARED - 1)) - 1), return_inverse=True)
     shared = (n + 1 / 256) / (np.bincount(at, n)[at] + 1)
 

@@ -177,13 +177,14 @@ def test_word_model_equals_plain_kneser_ney(spark):
         n = collections.Counter(counts)
         return n[1] / (n[1] + 2 * n[2]) if n[1] else 0.5
 
+    known_words = {w for w in shared if sum(len({x for x in q if x[1] == w}) for q in pairs) > 1}
+
     def p(c, a, b):
         after = {w: sum(1 for x in pairs[c] if x[1] == w) for w in shared}
         d, whole = discount(after.values()), sum(after.values())
         backoff = max(1e-9, d * sum(v > 0 for v in after.values()) / whole)
-        known = b in {w for q in pairs for _, w in q}
-        low = max(after.get(b, 0) - d, 0) / whole + backoff * (shared[b] + 0.5) / (sum(shared.values()) + 0.5 * len(shared)) if known else backoff
-        if a == "" or a not in {x for q in pairs for x, _ in q}:
+        low = max(after.get(b, 0) - d, 0) / whole + backoff * (shared[b] + 0.5) / (sum(shared.values()) + 0.5 * len(shared)) if b in known_words else backoff
+        if a not in known_words:
             return low  # the first word of a text stands without a context
         d, seen = discount(pairs[c].values()), sum(n for (x, _), n in pairs[c].items() if x == a)
         part = {x: max(n - d, 0) / max(1, seen) for x, n in pairs[c].items() if x[0] == a and sum(q[x] for q in pairs) > 1}
