@@ -22,6 +22,17 @@ def sq_pairs(points: np.ndarray) -> np.ndarray:
     return (d * d).sum(axis=2)
 
 
+def nearest_or_tied(rough: np.ndarray, k: int, rows: np.ndarray, points: np.ndarray):
+    """For each row, every point whose rough squared distance may be among the k least: ties and rounding included."""
+    k = min(k, rough.shape[1])
+    if not k:
+        return [np.zeros(0, np.int64)] * len(rough)
+    finite = np.partition(rough, k - 1, axis=1)[:, k - 1]
+    # the three sums of the rough form are off by a few roundings of each of their terms
+    slack = 8 * points.shape[1] * np.finfo(float).eps * ((rows * rows).sum(axis=1) + (points * points).sum(axis=1).max())
+    return [np.flatnonzero(r <= c + 2 * t) for r, c, t in zip(rough, finite, slack)]
+
+
 def exact_lists(x: np.ndarray, k: int, block: int = 512) -> np.ndarray:
     """Each point's k nearest others, by (distance, position)."""
     n = len(x)
@@ -32,45 +43,34 @@ def exact_lists(x: np.ndarray, k: int, block: int = 512) -> np.ndarray:
         rows = x[a : a + block]
         rough = norms[a : a + block, None] - 2 * rows @ x.T + norms[None, :]
         rough[np.arange(len(rows)), np.arange(a, a + len(rows))] = np.inf
-        more = min(n - 1, k + 8)
-        near = np.argpartition(rough, more - 1, axis=1)[:, :more] if more < n else np.tile(np.arange(n), (len(rows), 1))
-        for i, c in enumerate(near):
+        for i, c in enumerate(nearest_or_tied(rough, k, rows, x)):
+            c = c[c != a + i]
             d = sq_to(rows[i], x[c])
             out[a + i] = c[np.lexsort((c, d))][:k]
     return out
 
 
-def greedy(x: np.ndarray, p: int, cands: np.ndarray, cos_alpha: float | None, cap: int | None = None, every: np.ndarray | None = None) -> list[int]:
+def greedy(x: np.ndarray, p: int, cands: np.ndarray, cos_alpha: float | None, cap: int | None = None, every: np.ndarray | None = None, visit: np.ndarray | None = None) -> list[int]:
     """Candidates of p kept in order of (distance, position): no kept one may conflict.
 
     cos_alpha: the angle rule; None: the lune rule (a kept point closer to both ends). every: all
-    squared distances, where they are at hand.
+    squared distances, where they are at hand. visit: keys of another order to visit the points in.
     """
     d2 = sq_to(x[p], x[cands]) if every is None else every[p, cands]
-    order = np.lexsort((cands, d2))
+    order = np.lexsort((cands, d2 if visit is None else visit[cands]))
     cands, d2 = cands[order], d2[order]
-    small = len(cands) <= 200 or every is not None
-    if small:
-        between = sq_pairs(x[cands]) if every is None else every[np.ix_(cands, cands)]
-        if cos_alpha is None:
-            clash = (d2[None, :] < d2[:, None]) & (between < d2[:, None])
-        else:
-            root = np.sqrt(d2)
-            clash = d2[:, None] + d2[None, :] - between > 2 * root[:, None] * root[None, :] * cos_alpha
+    left = np.arange(len(cands))
     kept: list[int] = []
-    for c in range(len(cands)):
-        if cap is not None and len(kept) >= cap:
-            break
-        if kept:
-            if small:
-                bad = clash[c, kept].any()
-            else:
-                dr = sq_to(x[cands[c]], x[cands[kept]])
-                dk = d2[kept]
-                bad = ((dk < d2[c]) & (dr < d2[c])).any() if cos_alpha is None else (dk + d2[c] - dr > 2 * np.sqrt(dk) * np.sqrt(d2[c]) * cos_alpha).any()
-            if bad:
-                continue
+    while len(left) and (cap is None or len(kept) < cap):
+        c, left = left[0], left[1:]
         kept.append(c)
+        # what the kept point blocks is never looked at again
+        dr = sq_to(x[cands[c]], x[cands[left]]) if every is None else every[cands[c], cands[left]]
+        if cos_alpha is None:
+            bad = (d2[c] < d2[left]) & (dr < d2[left])
+        else:
+            bad = d2[c] + d2[left] - dr > 2 * np.sqrt(d2[c]) * np.sqrt(d2[left]) * cos_alpha
+        left = left[~bad]
     return cands[kept].tolist()
 
 

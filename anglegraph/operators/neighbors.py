@@ -32,10 +32,8 @@ def exact_knn(vectors: DataFrame, queries: DataFrame, k: int, exclude_self: bool
                 for a in range(0, len(qids), 256):
                     q = qx[a : a + 256]
                     rough = (q * q).sum(axis=1)[:, None] - 2 * q @ x.T + (x * x).sum(axis=1)[None, :]
-                    more = min(len(ids), k + 16)
-                    near = np.argpartition(rough, more - 1, axis=1)[:, :more]
                     rows = []
-                    for i, c in enumerate(near):
+                    for i, c in enumerate(G.nearest_or_tied(rough, k + 1, q, x)):
                         d = G.sq_to(q[i], x[c])
                         order = np.lexsort((ids[c], d))
                         got = [(ids[c[j]], d[j]) for j in order if not (exclude_self and ids[c[j]] == qids[a + i])][:k]
@@ -101,8 +99,11 @@ def entry_points(queries: DataFrame, navigators: DataFrame) -> DataFrame:
     return d.groupBy("qid").agg(F.min(F.struct(l2_sq("vec", "nv").alias("d"), "node"))["node"].alias("entry"))
 
 
-def angle_prune(cands: DataFrame, vectors: DataFrame, alpha, max_degree: int | None = None) -> DataFrame:
-    """(src, dst, dist, rank) kept of (src, cand); alpha in degrees, or the name of a column of `vectors`."""
+def angle_prune(cands: DataFrame, vectors: DataFrame, alpha, max_degree: int | None = None, order: str = "distance") -> DataFrame:
+    """(src, dst, dist, rank) kept of (src, cand); alpha in degrees, the name of a column of `vectors`, or None for the lune rule.
+
+    order: "distance" visits the nearest candidates first, "hash" all in an order that does not depend on distance.
+    """
     from ..functions.geometry import cos_degrees
 
     per_node = isinstance(alpha, str)
@@ -110,19 +111,21 @@ def angle_prune(cands: DataFrame, vectors: DataFrame, alpha, max_degree: int | N
     near = cands.select("src", "cand").join(v.select(F.col("id").alias("cand"), "vec"), "cand")
     rows = near.groupBy("src").agg(F.collect_list(F.struct(F.col("cand"), F.col("vec"))).alias("c"))  # bounded by the pool
     rows = rows.join(v.withColumnRenamed("id", "src").withColumnRenamed("vec", "p"), "src")
-    if not per_node:
-        cos_degrees(alpha)
+    if order not in ("distance", "hash"):
+        raise ValueError(f"unknown order {order!r}")
+    cosine = None if per_node or alpha is None else cos_degrees(alpha)
 
     def run(batches):
         for b in batches:
             out = []
             for row in b.to_pylist():
                 ids = np.array([c["cand"] for c in row["c"]], np.int64)
-                order = np.argsort(ids)
-                x = np.vstack([np.array([row["c"][i]["vec"] for i in order]), row["p"]])
-                kept = G.greedy(x, len(ids), np.arange(len(ids)), cos_degrees(row["alpha"] if per_node else alpha), max_degree)
+                order_of = np.argsort(ids)
+                x = np.vstack([np.array([row["c"][i]["vec"] for i in order_of]), row["p"]])
+                visit = (ids[order_of] % (1 << 31) * 1103515245 + 12345) % (1 << 31) if order == "hash" else None
+                kept = G.greedy(x, len(ids), np.arange(len(ids)), cos_degrees(row["alpha"]) if per_node else cosine, max_degree, visit=visit)
                 d = np.sqrt(G.sq_to(x[-1], x[kept])) if kept else []
-                out += [(row["src"], int(ids[order][i]), float(v), r + 1) for r, (i, v) in enumerate(zip(kept, d))]
+                out += [(row["src"], int(ids[order_of][i]), float(v), r + 1) for r, (i, v) in enumerate(zip(kept, d))]
             yield pa.RecordBatch.from_pydict({"src": pa.array([o[0] for o in out], pa.int64()), "dst": pa.array([o[1] for o in out], pa.int64()), "dist": pa.array([o[2] for o in out], pa.float64()), "rank": pa.array([o[3] for o in out], pa.int32())})
 
     return rows.mapInArrow(run, "src long, dst long, dist double, rank int")
@@ -170,12 +173,11 @@ def reach(edges: DataFrame, roots: DataFrame, max_rounds: int = 200) -> DataFram
 
 def monotonic_violations(edges: DataFrame, vectors: DataFrame) -> DataFrame:
     """(p, q) with no out-neighbour of p closer to q than p is; q-by-edges work, for small sets."""
-    v = vectors.select("id", "vec")
-    ends = edges.select("src", "dst").join(v.select(F.col("id").alias("dst"), F.col("vec").alias("nv")), "dst")
-    best = ends.join(v.select(F.col("id").alias("q"), F.col("vec").alias("qv")), F.col("src") != F.col("q"))
-    best = best.groupBy(F.col("src").alias("p"), "q").agg(F.min(l2_sq("nv", "qv")).alias("d"))
-    own = v.select(F.col("id").alias("p"), F.col("vec").alias("pv")).join(v.select(F.col("id").alias("q"), F.col("vec").alias("qv")), F.col("p") != F.col("q"))
-    return own.join(best, ["p", "q"], "left").where(F.col("d").isNull() | (F.col("d") >= l2_sq("pv", "qv"))).select("p", "q")
+    v = vectors.select("id", F.col("vec").cast("array<double>").alias("vec"))
+    q = v.select(F.col("id").alias("q"), F.col("vec").alias("qv"))
+    pairs = v.join(q).select(F.col("id").alias("p"), "q", l2_sq("vec", "qv").alias("d"))  # each distance once
+    best = edges.select("src", F.col("dst").alias("p")).join(pairs, "p").where("src <> q").groupBy(F.col("src").alias("p"), "q").agg(F.min("d").alias("near"))
+    return pairs.where("p <> q").join(best, ["p", "q"], "left").where("near is null or near >= d").select("p", "q")
 
 
 def degree_stats(edges: DataFrame, vectors: DataFrame | None = None) -> DataFrame:

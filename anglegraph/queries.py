@@ -48,9 +48,9 @@ def knn_exact_cosine(spark, d):
 
 
 def knn_exact_ip(spark, d):
-    v = _emb(spark, d, 200)
+    v = _emb(spark, d)
     q = v.where("id % 10 = 3").select(F.col("id").alias("qid"), F.col("vec").alias("q"))
-    p = v.where("id % 10 <> 3").crossJoin(F.broadcast(q)).withColumn("ip", D.dot("vec", "q"))  # 20 queries
+    p = v.where("id % 10 <> 3").crossJoin(F.broadcast(q)).withColumn("ip", D.dot("vec", "q"))  # one query in ten rows of a small table
     w = Window.partitionBy("qid").orderBy(F.desc("ip"), "id")
     return p.withColumn("rank", F.row_number().over(w)).where("rank <= 10").select("qid", "rank", "id", F.round("ip", 6).alias("ip"))
 
@@ -85,43 +85,51 @@ def conflict_rate(spark, d):
     return N.conflict_rate(_emb(spark, d, 64), 0.5)
 
 
-def angle_graph(method, alpha, view, n):
+def angle_graph(method, alpha, view):
     def run(spark, d):
-        v = _emb(spark, d, n) if view == "emb" else V.part2(spark, d).where(F.col("id") <= n)
+        v = _emb(spark, d) if view == "emb" else V.part2(spark, d)
         return _edges(I.build_index(v, method, alpha=alpha))
 
     return run
 
 
 def rng_exact(spark, d):
-    """Undirected edges with no point at all in their lune: an anti join on the pair table."""
-    v = _emb(spark, d, 96).select("id", "vec")
+    """Undirected edges with no point at all in their lune: of the edges that lune pruning keeps, by an anti join on the pair table."""
+    v = _emb(spark, d).select("id", "vec")
+    some = I.index_edges(I.build_index(v, "mrng")).where("src < dst").select(F.col("src").alias("p"), F.col("dst").alias("q"))
     e = v.alias("a").join(v.alias("b"), F.col("a.id") != F.col("b.id")).select(F.col("a.id").alias("p"), F.col("b.id").alias("q"), D.l2_sq(F.col("a.vec"), F.col("b.vec")).alias("d2"))
     x, y, z = e.alias("x"), e.alias("y"), e.alias("z")
-    half = x.where("p < q")
+    half = e.join(some, ["p", "q"], "left_semi").alias("x")
     inside = half.join(y, F.col("x.p") == F.col("y.p")).join(z, (F.col("z.p") == F.col("y.q")) & (F.col("z.q") == F.col("x.q")))
     bad = inside.where((F.col("y.d2") < F.col("x.d2")) & (F.col("z.d2") < F.col("x.d2"))).select("x.p", "x.q").distinct()
     return half.select("p", "q").join(bad, ["p", "q"], "left_anti")
 
 
+def lune_hash_order(spark, d):
+    """Lune pruning of all other points, visited in an order that distance does not decide."""
+    v = _emb(spark, d)
+    every = v.select(F.col("id").alias("src")).join(v.select(F.col("id").alias("cand")), F.col("src") != F.col("cand"))
+    return N.angle_prune(every, v, None, order="hash").select("src", "dst")
+
+
 def truncate_degree(spark, d):
-    ix = I.build_index(_emb(spark, d, 128), "exact_angle", alpha=60.0)
+    ix = I.build_index(_emb(spark, d), "exact_angle", alpha=60.0)
     return N.truncate_graph(I.index_edges(ix), 8).select("src", "dst")
 
 
 def truncate_neighbor_rank(spark, d):
-    v = _emb(spark, d, 128)
+    v = _emb(spark, d)
     ix = I.build_index(v, "exact_angle", alpha=60.0)
     return N.truncate_graph(I.index_edges(ix), 20, "neighbor_rank", N.knn_graph(v, 20)).select("src", "dst")
 
 
 def monotonic_violations(spark, d):
-    v = _emb(spark, d, 128)
+    v = _emb(spark, d)
     return N.monotonic_violations(I.index_edges(I.build_index(v, "exact_angle", alpha=60.0)), v)
 
 
 def degree_stats(spark, d):
-    return N.degree_stats(I.index_edges(I.build_index(_emb(spark, d, 128), "exact_angle", alpha=60.0)))
+    return N.degree_stats(I.index_edges(I.build_index(_emb(spark, d), "exact_angle", alpha=60.0)))
 
 
 def two_hop_pool(spark, d):
@@ -129,12 +137,12 @@ def two_hop_pool(spark, d):
 
 
 def nag_forward(spark, d):
-    v = _emb(spark, d, 128)
+    v = _emb(spark, d)
     return N.angle_prune(N.two_hop_pool(N.knn_graph(v, 10), 40), v, 60.0, 32).select("src", "dst")
 
 
 def nag_reverse_reprune(spark, d):
-    v = _emb(spark, d, 128)
+    v = _emb(spark, d)
     forward = N.angle_prune(N.two_hop_pool(N.knn_graph(v, 10), 40), v, 60.0, 32)
     return N.reverse_refine(forward, v, 60.0, 32).select("src", "dst")
 
@@ -181,7 +189,7 @@ def precision_at_k(spark, d):
 
 
 def part_knn(spark, d):
-    v = V.part2(spark, d).where("id <= 1000")
+    v = V.part2(spark, d)
     return N.exact_knn(v.where("id % 10 <> 3"), _queries_ten(v), 5).select("qid", "rank", "id", F.round("dist", 4).alias("dist"))
 
 
@@ -241,18 +249,18 @@ def _line_some(spark, d):
 
 def _workloads() -> dict:
     return {
-        "w1_graph_stats": lambda s, d: X.w1_graph_stats(_emb(s, d, 500)),
+        "w1_graph_stats": lambda s, d: X.w1_graph_stats(_emb(s, d)),
         "w2_density_cost": lambda s, d: X.w2_density_cost(V.part2(s, d).where("id <= 200")),
         "w3_routes": search_trace,
         "w5_index_table": lambda s, d: X.w5_index_table(_emb(s, d)),
         "w6_index_time": lambda s, d: X.w5_index_table(V.cust_vectors(s, d)).select("method", "n", "t1", "t2"),
-        "w7_alpha_sweep": lambda s, d: X.w7_alpha_sweep(_emb(s, d, 400)),
+        "w7_alpha_sweep": lambda s, d: X.w7_alpha_sweep(_emb(s, d)),
         "w8_grid": lambda s, d: X.w8_grid(_emb(s, d)),
         "w9_growth": lambda s, d: X.w9_growth(_line_some(s, d)),
         "w9_growth_fit": lambda s, d: X.fit_growth(X.w9_growth(_emb(s, d)), 20.0),
         "w10_sharded": lambda s, d: X.w10_sharded(_line_some(s, d)),
         "w11_on_the_fly": lambda s, d: X.w11_on_the_fly(_emb(s, d)),
-        "w12_overlap": lambda s, d: X.w12_overlap(_emb(s, d, 400)),
+        "w12_overlap": lambda s, d: X.w12_overlap(_emb(s, d)),
         "w13_lid": lambda s, d: X.w13_lid({"emb": _emb(s, d), "part2": V.part2(s, d), "cust": V.cust_vectors(s, d)}),
         "w14_doc_search": X.w14_doc_search,
         "w15_scan_share": lambda s, d: X.w15_scan_share(_emb(s, d)),
@@ -263,11 +271,11 @@ def _workloads() -> dict:
 
 
 def queries() -> dict:
-    plain = (knn_exact_l2, knn_exact_cosine, knn_exact_ip, knn_graph_k10, range_search, mutual_knn, reverse_knn, knn_filtered_label, lid_mle, conflict_rate, rng_exact, truncate_degree, truncate_neighbor_rank, monotonic_violations, degree_stats, two_hop_pool, nag_forward, nag_reverse_reprune, navigators, entry_navigator, reach_from_navigators, sharded_merge, greedy_indexed, eps_factor, precision_at_k, part_knn, line_knn, cust_vectors, dedupe, nag_full, step_monotonicity)
+    plain = (knn_exact_l2, knn_exact_cosine, knn_exact_ip, knn_graph_k10, range_search, mutual_knn, reverse_knn, knn_filtered_label, lid_mle, conflict_rate, rng_exact, lune_hash_order, truncate_degree, truncate_neighbor_rank, monotonic_violations, degree_stats, two_hop_pool, nag_forward, nag_reverse_reprune, navigators, entry_navigator, reach_from_navigators, sharded_merge, greedy_indexed, eps_factor, precision_at_k, part_knn, line_knn, cust_vectors, dedupe, nag_full, step_monotonicity)
     out = {f.__name__: f for f in plain}
     out |= {
-        "angle_graph_60": angle_graph("exact_angle", 60.0, "emb", 128), "angle_graph_55": angle_graph("exact_angle", 55.0, "emb", 128), "angle_graph_alpha0": angle_graph("exact_angle", 0.0, "emb", 64),
-        "angle_graph_30_part": angle_graph("exact_angle", 30.0, "part", 120), "mrng_exact": angle_graph("mrng", 60.0, "emb", 128), "mrng_part": angle_graph("mrng", 60.0, "part", 120),
+        "angle_graph_60": angle_graph("exact_angle", 60.0, "emb"), "angle_graph_55": angle_graph("exact_angle", 55.0, "emb"), "angle_graph_alpha0": angle_graph("exact_angle", 0.0, "emb"),
+        "angle_graph_30_part": angle_graph("exact_angle", 30.0, "part"), "mrng_exact": angle_graph("mrng", 60.0, "emb"), "mrng_part": angle_graph("mrng", 60.0, "part"),
     }
     out |= {f"recall_{m}": recall(m, *g) for m, g in GATES.items()}
     out |= {f"w4_curve_{m}": tuned_curve(m, "emb") for m in ("nag", "nav_mrng", "hnsw", "knn_graph", "diversified", "ivf_pq", "two_means_forest", "kd_kmeans_forest")}
@@ -288,18 +296,22 @@ def _knn_sql(base: str, asks: str, k: int, view: str = EMB, measure: str = "list
       FROM (SELECT * FROM v WHERE {base}) b, (SELECT * FROM v WHERE {asks}) q WHERE NOT (b.id = q.id AND '{asks}' = 'true')) WHERE rank <= {k})"""
 
 
-def _fold_sql(view: str, where: str, conflict: str, cap: int | None = None) -> str:
-    """The greedy rule as a fold over the ranks of each point's candidates."""
-    stop = f"len(f.kept) >= {cap} OR " if cap else ""
-    return f"""WITH RECURSIVE v AS (SELECT id, vec FROM ({view}) WHERE {where}),
-    e AS (SELECT a.id AS p, b.id AS q, pow(list_distance(a.vec, b.vec), 2) AS d2 FROM v a, v b WHERE a.id <> b.id),
-    c AS (SELECT p, q, d2, row_number() OVER (PARTITION BY p ORDER BY d2, q) AS rk FROM e),
-    bad AS (SELECT x.p, x.rk, list(y.rk) AS blockers FROM c x JOIN c y ON x.p = y.p AND y.rk < x.rk JOIN e z ON z.p = x.q AND z.q = y.q WHERE {conflict} GROUP BY x.p, x.rk),
-    s AS (SELECT c.p, c.q, c.rk, coalesce(bad.blockers, []) AS blockers FROM c LEFT JOIN bad ON c.p = bad.p AND c.rk = bad.rk),
-    f AS (SELECT DISTINCT p, CAST(0 AS BIGINT) AS k, CAST([] AS BIGINT[]) AS kept FROM c
-      UNION ALL SELECT f.p, f.k + 1, CASE WHEN {stop}list_has_any(f.kept, s.blockers) THEN f.kept ELSE list_append(f.kept, s.rk) END FROM f JOIN s ON s.p = f.p AND s.rk = f.k + 1),
-    last AS (SELECT p, arg_max(kept, k) AS kept FROM f GROUP BY p),
-    g AS (SELECT last.p AS src, c.q AS dst, c.d2 FROM (SELECT p, unnest(kept) AS rk FROM last) last JOIN c ON c.p = last.p AND c.rk = last.rk)"""
+def _fold_steps(conflict: str, cap: int | None = None, among: str = "", name: str = "", order: str = "d2, q") -> str:
+    """The greedy rule, one kept edge of every point a round: the first candidate left stays and takes those it blocks away."""
+    stop = f" AND x.k < {cap}" if cap else ""
+    mine = ", ".join(f"x.{c.strip()}" if c.strip() in ("d2", "q") else c.replace("(id ", "(x.q ") for c in order.split(","))
+    return f"""c{name} AS (SELECT p, q, d2, row_number() OVER (PARTITION BY p ORDER BY {order.replace("(id ", "(q ")}) AS rk FROM e {among}),
+    f{name} AS (SELECT p, q, d2, rk AS r, 1 AS k FROM c{name}
+      UNION ALL SELECT x.p, x.q, x.d2, row_number() OVER (PARTITION BY x.p ORDER BY {mine}) AS r, x.k + 1 FROM f{name} x JOIN f{name} y ON x.p = y.p AND y.r = 1
+        JOIN e z ON z.p = x.q AND z.q = y.q WHERE x.r > 1{stop} AND NOT ({conflict})),
+    g{name} AS (SELECT p AS src, q AS dst, d2 FROM f{name} WHERE r = 1)"""
+
+
+ALL_PAIRS = "e AS MATERIALIZED (SELECT a.id AS p, b.id AS q, pow(list_distance(a.vec, b.vec), 2) AS d2 FROM v a, v b WHERE a.id <> b.id)"
+
+
+def _fold_sql(view: str, where: str, conflict: str, cap: int | None = None, order: str = "d2, q") -> str:
+    return f"WITH RECURSIVE v AS (SELECT id, vec FROM ({view}) WHERE {where}), {ALL_PAIRS}, {_fold_steps(conflict, cap, order=order)}"
 
 
 def _angle(cos: float) -> str:
@@ -307,7 +319,7 @@ def _angle(cos: float) -> str:
 
 
 LUNE = "y.d2 < x.d2 AND z.d2 < x.d2"
-G60 = _fold_sql(EMB, "id < 128", _angle(0.5))
+G60 = _fold_sql(EMB, "true", _angle(0.5))
 
 
 def oracle_sql() -> dict[str, str]:
@@ -315,7 +327,7 @@ def oracle_sql() -> dict[str, str]:
     graph10 = _knn_sql("true", "true", 10)
     out = {
         "knn_exact_l2": f"WITH {_knn_sql(*ten, 10)} SELECT qid, rank, id, round(dist, 6) AS dist FROM near",
-        "knn_exact_ip": f"WITH {_knn_sql('id < 200 AND id % 10 <> 3', 'id < 200 AND id % 10 = 3', 10, measure='-list_dot_product(b.vec, q.vec)')} SELECT qid, rank, id, round(-dist, 6) AS ip FROM near",
+        "knn_exact_ip": f"WITH {_knn_sql('id % 10 <> 3', 'id % 10 = 3', 10, measure='-list_dot_product(b.vec, q.vec)')} SELECT qid, rank, id, round(-dist, 6) AS ip FROM near",
         "knn_exact_cosine": f"WITH {_knn_sql(*ten, 10, measure='1 - list_cosine_similarity(b.vec, q.vec)')} SELECT qid, rank, id, round(dist, 6) AS cosine_distance FROM near",
         "knn_graph_k10": f"WITH {graph10} SELECT qid AS src, id AS dst, rank FROM near",
         "range_search": f"WITH v AS ({EMB}) SELECT q.id AS qid, b.id, round(list_distance(b.vec, q.vec), 6) AS dist FROM v b, v q WHERE b.id % 10 <> 3 AND q.id % 10 = 3 AND list_distance(b.vec, q.vec) < 1.2",
@@ -324,13 +336,14 @@ def oracle_sql() -> dict[str, str]:
         "knn_filtered_label": f"WITH {_knn_sql('label = 3 AND id % 10 <> 3', 'id % 10 = 3', 5)} SELECT qid, rank, id FROM near",
         "lid_mle": f"WITH {_knn_sql('true', 'true', 20)}, far AS (SELECT qid, dist AS dk FROM near WHERE rank = 20) SELECT near.qid AS src, round(-1 / avg(ln(dist / dk)), 5) AS lid FROM near JOIN far ON near.qid = far.qid WHERE rank < 20 AND dist > 0 GROUP BY near.qid",
         "conflict_rate": f"WITH v AS (SELECT * FROM ({EMB}) WHERE id < 64), e AS (SELECT a.id AS p, b.id AS q, pow(list_distance(a.vec, b.vec), 2) AS d2 FROM v a, v b WHERE a.id <> b.id) SELECT round(avg(CASE WHEN {_angle(0.5)} THEN 1.0 ELSE 0.0 END), 9) AS rate, count(*) AS n FROM e x JOIN e y ON x.p = y.p AND x.q < y.q JOIN e z ON z.p = x.q AND z.q = y.q",
-        "rng_exact": f"WITH v AS (SELECT * FROM ({EMB}) WHERE id < 96), e AS (SELECT a.id AS p, b.id AS q, list_distance(a.vec, b.vec) AS d FROM v a, v b WHERE a.id <> b.id) SELECT x.p, x.q FROM e x WHERE x.p < x.q AND NOT EXISTS (SELECT 1 FROM e y JOIN e z ON z.p = y.q WHERE y.p = x.p AND z.q = x.q AND y.d < x.d AND z.d < x.d)",
+        "rng_exact": f"WITH v AS (SELECT * FROM ({EMB})), e AS (SELECT a.id AS p, b.id AS q, list_distance(a.vec, b.vec) AS d FROM v a, v b WHERE a.id <> b.id) SELECT x.p, x.q FROM e x WHERE x.p < x.q AND NOT EXISTS (SELECT 1 FROM e y JOIN e z ON z.p = y.q WHERE y.p = x.p AND z.q = x.q AND y.d < x.d AND z.d < x.d)",
         "angle_graph_60": G60 + " SELECT src, dst FROM g",
-        "angle_graph_55": _fold_sql(EMB, "id < 128", _angle(D.cos_degrees(55.0))) + " SELECT src, dst FROM g",
-        "angle_graph_alpha0": "SELECT a.vec_id AS src, b.vec_id AS dst FROM embeddings a, embeddings b WHERE a.vec_id < 64 AND b.vec_id < 64 AND a.vec_id <> b.vec_id",
-        "angle_graph_30_part": _fold_sql(PART, "id <= 120", _angle(D.cos_degrees(30.0))) + " SELECT src, dst FROM g",
-        "mrng_exact": _fold_sql(EMB, "id < 128", LUNE) + " SELECT src, dst FROM g",
-        "mrng_part": _fold_sql(PART, "id <= 120", LUNE) + " SELECT src, dst FROM g",
+        "angle_graph_55": _fold_sql(EMB, "true", _angle(D.cos_degrees(55.0))) + " SELECT src, dst FROM g",
+        "angle_graph_alpha0": "SELECT a.vec_id AS src, b.vec_id AS dst FROM embeddings a, embeddings b WHERE a.vec_id <> b.vec_id",
+        "angle_graph_30_part": _fold_sql(PART, "true", _angle(D.cos_degrees(30.0))) + " SELECT src, dst FROM g",
+        "mrng_exact": _fold_sql(EMB, "true", LUNE) + " SELECT src, dst FROM g",
+        "lune_hash_order": _fold_sql(EMB, "true", LUNE, order=f"{HASH}, q") + " SELECT src, dst FROM g",
+        "mrng_part": _fold_sql(PART, "true", LUNE) + " SELECT src, dst FROM g",
         "truncate_degree": G60 + " SELECT src, dst FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY d2, dst) AS r FROM g) WHERE r <= 8",
         "truncate_neighbor_rank": G60 + " SELECT g.src, g.dst FROM g JOIN c ON g.src = c.p AND g.dst = c.q WHERE c.rk <= 20",
         "monotonic_violations": "SELECT vec_id AS p, vec_id AS q FROM embeddings WHERE false",
@@ -343,7 +356,7 @@ def oracle_sql() -> dict[str, str]:
         "greedy_indexed": "SELECT vec_id AS qid, vec_id AS id FROM embeddings WHERE vec_id % 10 = 7",
         "precision_at_k": f"WITH {_knn_sql(*ten, 10)}, less AS (SELECT qid, id, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS r FROM (SELECT q.id AS qid, b.id, list_distance(b.vec, q.vec) AS dist FROM v b, v q WHERE b.id % 10 NOT IN (3, 5) AND q.id % 10 = 3)) SELECT near.qid, count(less.id) / CAST(10 AS DOUBLE) AS precision FROM near LEFT JOIN less ON near.qid = less.qid AND near.id = less.id AND less.r <= 10 GROUP BY near.qid",
         "eps_factor": f"WITH {_knn_sql(*ten, 10)}, less AS (SELECT qid, id, dist, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS rank FROM (SELECT q.id AS qid, b.id, list_distance(b.vec, q.vec) AS dist FROM v b, v q WHERE b.id % 10 NOT IN (3, 5) AND q.id % 10 = 3)), one AS (SELECT qid, dist AS d1 FROM near WHERE rank = 1) SELECT less.qid, round(max(less.dist / d1 - 1), 6) AS eps_1nn, round(max(less.dist / near.dist - 1), 6) AS eps_rank FROM less JOIN near ON less.qid = near.qid AND less.rank = near.rank JOIN one ON one.qid = less.qid GROUP BY less.qid",
-        "part_knn": f"WITH {_knn_sql('id <= 1000 AND id % 10 <> 3', 'id <= 1000 AND id % 10 = 3', 5, PART)} SELECT qid, rank, id, round(dist, 4) AS dist FROM near",
+        "part_knn": f"WITH {_knn_sql('id % 10 <> 3', 'id % 10 = 3', 5, PART)} SELECT qid, rank, id, round(dist, 4) AS dist FROM near",
         "dedupe": f"WITH v AS ({PART}) SELECT id, min(id) OVER (PARTITION BY vec) AS rep FROM v",
         "cust_vectors": "WITH l AS (SELECT l_orderkey, sum(l_extendedprice) AS price, sum(l_discount) AS disc, sum(CASE WHEN l_returnflag = 'R' THEN 1 ELSE 0 END) AS back, count(*) AS n FROM lineitem GROUP BY l_orderkey), o AS (SELECT o_custkey, count(*) AS orders, sum(price) AS price, sum(disc) AS disc, sum(back) AS back, sum(n) AS n FROM orders JOIN l ON o_orderkey = l_orderkey GROUP BY o_custkey) SELECT c_custkey AS id, orders / CAST(40 AS DOUBLE) AS x0, round(price / n / 100000, 4) AS x1, CAST(back AS DOUBLE) / n AS x3 FROM o JOIN customer ON o_custkey = c_custkey",
         "stream_tumbling": "SELECT CAST(epoch(date_trunc('day', ts)) AS BIGINT) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1, 2",

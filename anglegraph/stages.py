@@ -31,12 +31,12 @@ def _others(v):
 
 
 def angle_graph_per_node_alpha(spark, d):
-    v = _emb(spark, d, 128).withColumn("alpha", F.when(F.col("id") % 2 == 0, 45.0).otherwise(60.0))
+    v = _emb(spark, d).withColumn("alpha", F.when(F.col("id") % 2 == 0, 45.0).otherwise(60.0))
     return N.angle_prune(_others(v), v, "alpha").select("src", "dst")
 
 
 def alpha_for_degree(spark, d):
-    v = _emb(spark, d, 128)
+    v = _emb(spark, d)
     return R.alpha_for_degree(_others(v), v, 12)
 
 
@@ -46,7 +46,7 @@ def two_hop_pool_capped(spark, d):
 
 
 def nag_reverse_insert(spark, d):
-    return I.index_edges(I.build_index(_emb(spark, d, 128), "nag", reverse="insert")).select("src", "dst")
+    return I.index_edges(I.build_index(_emb(spark, d), "nag", reverse="insert")).select("src", "dst")
 
 
 def connectors(spark, d):
@@ -61,13 +61,13 @@ def _exact60(spark, d, n=None):
 
 def greedy_route(spark, d):
     """Greedy frontier search by joins on the exact graph: a point of the graph finds itself."""
-    v, e = _exact60(spark, d, 256)
+    v, e = _exact60(spark, d)
     q = X.queries_of(v.where("id % 10 = 7"))
     return R.frontier_search(e, v, q, N.entry_points(q, N.pick_navigators(v, 3)), 1, 1).select("qid", "id")
 
 
 def pool_search(spark, d):
-    v, e = _exact60(spark, d, 256)
+    v, e = _exact60(spark, d)
     base, q = v.where("id % 10 <> 3"), X.queries_of(v.where("id % 50 = 3"))
     e = I.index_edges(I.build_index(base, "exact_angle", alpha=60.0))
     return R.frontier_search(e, base, q, N.entry_points(q, N.pick_navigators(base, 3)), 5, 15).select("qid", "rank", "id")
@@ -80,7 +80,7 @@ def search_trace(spark, d):
 
 def path_length(indexed):
     def run(spark, d):
-        base, un = X.base_and_queries(_emb(spark, d, 500))
+        base, un = X.base_and_queries(_emb(spark, d))
         q = X.queries_of(base.where("id % 10 = 7")) if indexed else un
         return X.measured(I.build_index(base, "exact_angle", alpha=60.0), q, N.exact_knn(base, q, 1), 1, 1).select("hops", "n_dist", "precision")
 
@@ -121,7 +121,7 @@ def vector_mean(spark, d):
 
 def sql_functions(spark, d):
     surface.register(spark)
-    V.emb(spark, d).where("id < 100").createOrReplaceTempView("sql_vectors")
+    V.emb(spark, d).createOrReplaceTempView("sql_vectors")
     return spark.sql("SELECT a.id AS p, b.id AS q, round(vec_l2(a.vec, b.vec), 6) AS dist, round(vec_dot(a.vec, b.vec), 6) AS ip FROM sql_vectors a JOIN sql_vectors b ON b.id = a.id + 1")
 
 
@@ -169,26 +169,30 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    from .queries import EMB, PART, _fold_sql, _knn_sql
+    from .queries import ALL_PAIRS, EMB, PART, _angle, _fold_sql, _fold_steps, _knn_sql
 
     ten = _knn_sql("id % 10 <> 3", "id % 10 = 3", 10)
     near = f"WITH {ten} SELECT qid, rank, id FROM near"
     wide, narrow = repr(cos_degrees(45.0)), repr(cos_degrees(60.0))
     mixed = f"y.d2 + x.d2 - z.d2 > 2 * sqrt(y.d2) * sqrt(x.d2) * CAST(CASE WHEN x.p % 2 = 0 THEN {wide} ELSE {narrow} END AS DOUBLE)"
     pool = f"{_knn_sql('true', 'true', 10)}, every AS (SELECT qid AS src, id AS cand, rank AS via FROM near UNION ALL SELECT a.qid, b.id, a.rank FROM near a JOIN near b ON a.id = b.qid WHERE b.id <> a.qid), firsts AS (SELECT src, cand, min(via) AS via_rank FROM every GROUP BY src, cand), per AS (SELECT src, via_rank, count(*) AS c FROM firsts GROUP BY src, via_rank), cuts AS (SELECT src, via_rank, coalesce(sum(c) OVER (PARTITION BY src ORDER BY via_rank ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM per), pools AS (SELECT f.src, f.cand FROM firsts f JOIN cuts c ON f.src = c.src AND f.via_rank = c.via_rank WHERE before < 40)"
+    forward = _fold_steps(_angle(0.5), 32, "JOIN pools ON pools.src = e.p AND pools.cand = e.q", "1")
+    both = "JOIN (SELECT src, dst FROM g1 UNION SELECT dst, src FROM g1) m ON m.src = e.p AND m.dst = e.q"
     tokens = r"list_filter(regexp_split_to_array(lower(text), '[^\p{L}]+'), lambda t: t <> '')"
     h = "CAST('0x' || substr(md5({w}), 1, 4) AS INT) % 64"
     ahead = lambda s: f"SELECT unnest(list_zip(t[1:len(t) - {s}], t[{s + 1}:])) AS p FROM d WHERE len(t) > {s}"
     return {
         "range_band_join": f"WITH v AS ({PART}) SELECT a.id, b.id AS other, pow(a.vec[1] - b.vec[1], 2) + pow(a.vec[2] - b.vec[2], 2) AS dist2 FROM v a JOIN v b ON a.id < b.id WHERE pow(a.vec[1] - b.vec[1], 2) + pow(a.vec[2] - b.vec[2], 2) <= 2500",
-        "angle_graph_per_node_alpha": _fold_sql(EMB, "id < 128", mixed) + " SELECT src, dst FROM g",
+        "angle_graph_per_node_alpha": _fold_sql(EMB, "true", mixed) + " SELECT src, dst FROM g",
         "two_hop_pool_capped": f"WITH {pool} SELECT src, cand FROM (SELECT src, cand, row_number() OVER (PARTITION BY src ORDER BY list_distance(a.vec, b.vec), cand) AS r FROM pools JOIN v a ON a.id = src JOIN v b ON b.id = cand) WHERE r <= 40",
-        "greedy_route": "SELECT vec_id AS qid, vec_id AS id FROM embeddings WHERE vec_id < 256 AND vec_id % 10 = 7",
+        "nag_forward": f"WITH RECURSIVE {pool}, {ALL_PAIRS}, {forward} SELECT src, dst FROM g1",
+        "nag_reverse_reprune": f"WITH RECURSIVE {pool}, {ALL_PAIRS}, {forward}, {_fold_steps(_angle(0.5), 32, both, '2')} SELECT src, dst FROM g2",
+        "greedy_route": "SELECT vec_id AS qid, vec_id AS id FROM embeddings WHERE vec_id % 10 = 7",
         "scan": near,
         "ivf_flat": near,
         "nn_descent": "SELECT true AS precise",
         "vector_mean": f"SELECT label, CAST(pos - 1 AS INT) AS pos, round(avg(x), 6) AS mean FROM (SELECT label, unnest(vec) AS x, unnest(range(1, len(vec) + 1)) AS pos FROM ({EMB})) GROUP BY label, pos",
-        "sql_functions": f"WITH v AS ({EMB}) SELECT a.id AS p, b.id AS q, round(list_distance(a.vec, b.vec), 6) AS dist, round(list_dot_product(a.vec, b.vec), 6) AS ip FROM v a JOIN v b ON b.id = a.id + 1 WHERE b.id < 100",
+        "sql_functions": f"WITH v AS ({EMB}) SELECT a.id AS p, b.id AS q, round(list_distance(a.vec, b.vec), 6) AS dist, round(list_dot_product(a.vec, b.vec), 6) AS ip FROM v a JOIN v b ON b.id = a.id + 1",
         "sql_table_function": f"WITH {ten} SELECT id, round(dist, 6) AS dist FROM near WHERE qid = 3",
         "word_vectors": f"WITH d AS (SELECT {tokens} AS t FROM documents), p AS ({ahead(1)} UNION ALL {ahead(2)}), b AS (SELECT p[1] AS word, p[2] AS other FROM p UNION ALL SELECT p[2], p[1] FROM p), c AS (SELECT word, {h.format(w='other')} AS at, count(*) AS c FROM b GROUP BY 1, 2) SELECT word, CAST(sum(c) AS BIGINT) AS uses, count(*) AS filled, round(sum(pow(ln(1 + c), 2)), 4) AS norm2 FROM c GROUP BY word HAVING sum(c) >= 5",
         "stream_stateful": "SELECT user_id, count(*) AS n, array_to_string(list_reverse(list_slice(list(event_id ORDER BY event_id DESC), 1, 3)), ',') AS last FROM events GROUP BY user_id",

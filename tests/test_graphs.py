@@ -161,3 +161,29 @@ def test_sharded_search_is_set_against_one_graph(spark):
     v = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(r.random((300, 4)))], "id long, vec array<double>")
     rows = {(x["method"], x["layout"], x["probes"]) for x in X.w10_sharded(v, n_shards=3, k=5).collect()}
     assert rows == {*((m, *p) for m in ("nag", "nav_mrng", "ivf_pq") for p in (("one", 1), ("random", 3))), ("nag", "kmeans", 1)}
+
+
+def test_exact_neighbours_of_many_equal_points(spark):
+    from anglegraph.functions import graph_kernels as G
+    from anglegraph.operators import neighbors as N
+
+    d = spark.createDataFrame([(i, [1.0, 2.0]) for i in range(200, 0, -1)] + [(201, [1.0, 2.5])], "id long, vec array<double>").coalesce(1)
+    q = spark.createDataFrame([(7, [1.0, 2.0])], "qid long, vec array<double>")
+    assert [r["id"] for r in N.exact_knn(d, q, 3).orderBy("rank").collect()] == [1, 2, 3]
+    assert [r["id"] for r in N.exact_knn(d, q, 3, exclude_self=True).orderBy("rank").collect()] == [1, 2, 3]
+    x = np.ones((60, 3))
+    assert G.exact_lists(x, 4)[10].tolist() == [0, 1, 2, 3] and G.exact_lists(x, 4)[1].tolist() == [0, 2, 3, 4]
+
+
+def test_lune_rule_in_another_order():
+    from anglegraph.functions import graph_kernels as G
+
+    r = np.random.default_rng(4)
+    x, visit = r.random((60, 2)), r.permutation(60)
+    for p in range(60):
+        kept = []
+        d = ((x - x[p]) ** 2).sum(axis=1)
+        for c in sorted(set(range(60)) - {p}, key=lambda i: visit[i]):
+            if not any(d[k] < d[c] and ((x[k] - x[c]) ** 2).sum() < d[c] for k in kept):
+                kept.append(c)
+        assert G.greedy(x, p, np.array([i for i in range(60) if i != p]), None, visit=visit) == kept
