@@ -37,11 +37,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import row_ranges, written
+from .common import n_blocks, row_ranges, written
 
 FIT_ROWS = 10_000
 CURVE_ROWS = 4_000
 CHUNK = 12 << 20  # bytes of text whose words are scored together
+WORDS_HELD = 4 << 20  # prints of words that a task holds before it sends them
 ORDER = 6  # bytes of the longest expression, the predicted one included
 SHARED = 3  # bytes of the shared counts
 
@@ -162,17 +163,47 @@ def _word_pairs(sample: DataFrame) -> DataFrame:
 
 
 def corpus_words(docs: DataFrame) -> DataFrame:
-    """(word, n): how often each word, by its print, occurs in all documents; as many rows as the corpus has words."""
+    """(word, n): how often each word, by its print, occurs in all documents; as many rows as the corpus has words.
+
+    Tasks merge the words of their batches and send them packed, by key range, with their counts.
+    """
+    buckets = n_blocks(docs.select("text"))
+
+    def merged(parts):
+        keys, at = np.unique(np.concatenate([k for k, _ in parts]), return_inverse=True)
+        return keys, np.bincount(at, np.concatenate([n for _, n in parts]), len(keys)).astype(np.int64)
 
     def count(batches):
-        pw = K.Powers()
+        pw, held = K.Powers(), []
+
+        def flush():
+            import zstandard
+
+            keys, n = merged(held)
+            cuts = K.bucket_cuts(keys, buckets)
+            full = np.flatnonzero(cuts[1:] > cuts[:-1])
+            cols = [pa.array(full, pa.int32()), pa.array([K.pack_sorted(keys[cuts[b] : cuts[b + 1]]) for b in full], pa.binary()), pa.array([zstandard.compress(n[cuts[b] : cuts[b + 1]].tobytes(), 3) for b in full], pa.binary())]
+            return pa.RecordBatch.from_arrays(cols, names=["bucket", "keys", "n"])
+
         for batch in batches:
             _, offsets = K.text_buffer(batch.column(0))
             for a, b in row_ranges(offsets, CHUNK):
                 *_, place, _, _, known = _words(batch.column(0).slice(a, b - a), pw)
-                yield pa.RecordBatch.from_arrays([pa.array(known.view(np.int64)), pa.array(np.bincount(place, minlength=len(known)).astype(np.int64))], names=["word", "n"])
+                held.append((known, np.bincount(place, minlength=len(known))))
+            if sum(len(k) for k, _ in held) > WORDS_HELD:
+                yield flush()
+                held.clear()
+        if held:
+            yield flush()
+
+    def meet(rows: pa.Table) -> pa.Table:
+        import zstandard
+
+        keys, n = merged([(K.unpack_sorted(k.as_py()), np.frombuffer(zstandard.decompress(c.as_py()), np.int64)) for k, c in zip(rows.column("keys"), rows.column("n"))])
+        return pa.table({"word": keys.view(np.int64), "n": n})
 
-    return docs.select("text").mapInArrow(count, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    sent = docs.select("text").mapInArrow(count, "bucket int, keys binary, n binary")
+    return sent.groupBy("bucket").applyInArrow(meet, "word long, n long")
 
 
 def _sorted_columns(df: DataFrame, key: str) -> dict:
