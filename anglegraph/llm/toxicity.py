@@ -41,8 +41,8 @@ from .common import n_blocks, row_ranges, written
 
 FIT_ROWS = 10_000
 CURVE_ROWS = 4_000
-CHUNK = 12 << 20  # bytes of text whose words are scored together
-WORDS_HELD = 4 << 20  # prints of words that a task holds before it sends them
+CHUNK = 2 << 20  # bytes of text whose words are scored together
+WORDS_HELD = 2 << 20  # prints of words that a task holds before it sends them
 ORDER = 6  # bytes of the longest expression, the predicted one included
 SHARED = 3  # bytes of the shared counts
 
